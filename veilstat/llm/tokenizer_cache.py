@@ -1,0 +1,110 @@
+"""Token ids of whole texts through a bounded worker cache of word encodings.
+
+A text is cut only where the tokenizer's own rule always starts a new pre-token, so
+joining the parts' ids gives exactly the ids of the whole text:
+
+* ``word_bpe``: white space is dropped between words; a cut before and after every space,
+  line feed, tab or return is safe. NFC and lower-casing act on single words.
+* ``byte_bpe``: a single space between two non-space characters opens the next pre-token
+  ("␣word"); parts are cut before such spaces alone, runs of white space stay inside a part.
+"""
+
+from __future__ import annotations
+
+import re
+from functools import lru_cache
+
+import numpy as np
+
+#: Distinct parts kept by a worker; the cache starts anew beyond it.
+CACHE_PARTS = 800_000
+#: Longer parts are encoded each time.
+CACHE_CHARS = 64
+
+
+@lru_cache(maxsize=4)
+def load(path: str):
+    """The tokenizer, once per Python worker, single-threaded."""
+    import os
+
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(path)
+    tok.no_padding()
+    tok.no_truncation()
+    return tok
+
+
+_BYTE_PARTS = re.compile(r"(?<=\S)(?= \S)")
+_PLAIN = re.compile(r"[^\x21-\x7e¡-῿ \n]")
+
+
+def word_parts(text: str) -> list[str]:
+    for c in "\n\t\r":
+        if c in text:
+            text = text.replace(c, " ")
+    return text.split(" ")
+
+
+def byte_parts(text: str) -> list[str]:
+    """Parts of a text for a byte-level tokenizer whose pre-tokens may open with one space."""
+    if "  " in text or _PLAIN.search(text):
+        return _BYTE_PARTS.split(text)
+    # Only single spaces and line feeds: cut at spaces that stand between non-spaces.
+    parts = text.split(" ")
+    out = [parts[0]]
+    for p in parts[1:]:
+        if not p or p[0] == "\n" or (out[-1][-1:] in ("", "\n")):
+            out[-1] += " " + p
+        else:
+            out.append(" " + p)
+    return out
+
+
+def tail_of(part: str) -> int:
+    """Where a part can be cut in two pre-token runs: before one last ``. , ; :`` after a letter; else 0."""
+    return len(part) - 1 if part[-1:] in ".,;:" and part[-2:-1].isalpha() else 0
+
+
+class PartIds(dict):
+    """part -> its ids as little-endian uint32 bytes; misses are encoded and kept."""
+
+    def __init__(self, path: str):
+        super().__init__()
+        self.tok = load(path)
+
+    def __missing__(self, part: str) -> bytes:
+        if cut := tail_of(part):
+            ids = self[part[:cut]] + self[part[cut:]]
+        else:
+            ids = np.array(self.tok.encode(part, add_special_tokens=False).ids, dtype="<u4").tobytes()
+        if len(part) <= CACHE_CHARS:
+            if len(self) >= CACHE_PARTS:
+                self.clear()
+            self[part] = ids
+        return ids
+
+
+class PartCounts(dict):
+    """part -> number of ids. ``frequent`` is the first tier, shared by all workers."""
+
+    def __init__(self, path: str, frequent: dict[str, int] | None = None):
+        super().__init__(frequent or {})
+        self.tok, self.first = load(path), frequent or {}
+
+    def __missing__(self, part: str) -> int:
+        if cut := tail_of(part):
+            n = self[part[:cut]] + self[part[cut:]]
+        else:
+            n = len(self.tok.encode(part, add_special_tokens=False).ids)
+        if len(part) <= CACHE_CHARS:
+            if len(self) >= CACHE_PARTS + len(self.first):
+                self.clear()
+                self.update(self.first)
+            self[part] = n
+        return n
+
+
+def ids_bytes(cache: PartIds, parts: list[str]) -> bytes:
+    return b"".join(map(cache.__getitem__, parts))
