@@ -1,3 +1,13 @@
 """DuckDB SQL for the queries that SQL can express."""
 
-SQL: dict[str, str] = {}
+SQL: dict[str, str] = {
+    "op3_exact_dedup": r"""
+        WITH t AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS norm FROM documents)
+        SELECT doc_id,
+               min(doc_id) OVER w AS keep_id,
+               count(*) OVER w AS group_size,
+               doc_id = min(doc_id) OVER w AS kept,
+               sha256(norm) AS text_sha256
+        FROM t WINDOW w AS (PARTITION BY norm)
+    """,
+}
