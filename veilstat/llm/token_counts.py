@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import only, small_batches, texts_of
-from .tokenizer_cache import PartCounts, word_parts
+from .tokenizer_cache import PartCounts, count_texts, word_parts
 
 FREQUENT = 16_384
 SUMMARY = 2_048
@@ -41,7 +41,7 @@ def frequent_parts(docs: DataFrame, path: str, most: int = FREQUENT) -> dict[str
     """The corpus's most frequent parts with their token lengths; at most ``most`` reach the driver."""
     summed = only(docs, "text").mapInArrow(_summaries, "part string, n long").groupBy("part").agg(F.sum("n").alias("n"))
     top = [r.part for r in summed.orderBy(F.desc("n"), "part").limit(most).select("part").collect()]
-    counts = PartCounts(path)
+    counts = PartCounts(path, "word")
     return {p: counts[p] for p in top}
 
 
@@ -55,9 +55,9 @@ def token_counts(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
     table = docs.sparkSession.sparkContext.broadcast(frequent_parts(docs, path))
 
     def count(batches):
-        cache = PartCounts(path, table.value)
+        cache = PartCounts(path, "word", table.value)
         for batch in batches:
-            n = [sum(map(cache.__getitem__, word_parts(t))) for t in texts_of(batch.column(1)).to_pylist()]
+            n = count_texts(cache, texts_of(batch.column(1)).to_pylist())
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(n, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
 
     ids = docs.schema["doc_id"].dataType.simpleString()

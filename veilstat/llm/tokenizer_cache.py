@@ -6,7 +6,8 @@ joining the parts' ids gives exactly the ids of the whole text:
 * ``word_bpe``: white space is dropped between words; a cut before and after every space,
   line feed, tab or return is safe. NFC and lower-casing act on single words.
 * ``byte_bpe``: a single space between two non-space characters opens the next pre-token
-  ("␣word"); parts are cut before such spaces alone, runs of white space stay inside a part.
+  ("␣word") and a single line feed is one; parts are cut there alone, runs of white space
+  stay inside a part.
 """
 
 from __future__ import annotations
@@ -16,8 +17,9 @@ from functools import lru_cache
 
 import numpy as np
 
-#: Distinct parts kept by a worker; the cache starts anew beyond it.
-CACHE_PARTS = 800_000
+#: Distinct parts kept by a worker. On overflow the half that was met first, in which the
+#: frequent parts are, stays.
+CACHE_PARTS = 1_000_000
 #: Longer parts are encoded each time.
 CACHE_CHARS = 64
 
@@ -49,62 +51,129 @@ def word_parts(text: str) -> list[str]:
 
 def byte_parts(text: str) -> list[str]:
     """Parts of a text for a byte-level tokenizer whose pre-tokens may open with one space."""
-    if "  " in text or _PLAIN.search(text):
+    if "  " in text or "\n\n" in text or " \n" in text or "\n " in text or _PLAIN.search(text):
         return _BYTE_PARTS.split(text)
-    # Only single spaces and line feeds: cut at spaces that stand between non-spaces.
-    parts = text.split(" ")
-    out = [parts[0]]
-    for p in parts[1:]:
-        if not p or p[0] == "\n" or (out[-1][-1:] in ("", "\n")):
-            out[-1] += " " + p
-        else:
-            out.append(" " + p)
+    # Single spaces and single line feeds only: a space opens the next pre-token, a line feed is one.
+    out: list[str] = []
+    for line in text.split("\n"):
+        first, _, rest = line.partition(" ")
+        out.append(first)
+        if _:
+            out += [" " + p for p in rest.split(" ")]
+        out.append("\n")
+    out.pop()
     return out
 
 
-def tail_of(part: str) -> int:
-    """Where a part can be cut in two pre-token runs: before one last ``. , ; :`` after a letter; else 0."""
-    return len(part) - 1 if part[-1:] in ".,;:" and part[-2:-1].isalpha() else 0
+def latin(word: str) -> bool:
+    """Letters for which neither NFC nor lower-casing can open a second pre-token."""
+    return word.isalpha() and (word.isascii() or (max(word) < "\u0250" and "\u0130" not in word))
 
 
-class PartIds(dict):
-    """part -> its ids as little-endian uint32 bytes; misses are encoded and kept."""
+class PartCache(dict):
+    """part -> what is kept of its ids; new parts of a batch are encoded together.
 
-    def __init__(self, path: str):
-        super().__init__()
-        self.tok = load(path)
+    Single words of letters are joined to one text and encoded in one call; the tokens that
+    open (byte level) or close (word level) a word cut the ids again. A word's last
+    ``. , ; :`` is a pre-token of its own, and a word-level tokenizer lower-cases, so most
+    new parts are put together from known ones.
+    """
 
-    def __missing__(self, part: str) -> bytes:
-        if cut := tail_of(part):
-            ids = self[part[:cut]] + self[part[cut:]]
-        else:
-            ids = np.array(self.tok.encode(part, add_special_tokens=False).ids, dtype="<u4").tobytes()
+    def __init__(self, path: str, style: str, frequent: dict | None = None):
+        super().__init__(frequent or {})
+        self.tok, self.style, self.first = load(path), style, len(frequent or {})
+        vocab = self.tok.get_vocab()
+        self.feed = vocab.get("\u010a", -1)
+        self.edge = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        for token, i in vocab.items():
+            self.edge[i] = token.endswith("</w>") if style == "word" else token.startswith("\u0120")
+
+    def value(self, ids: np.ndarray):
+        raise NotImplementedError
+
+    def one(self, part: str):
+        return self.value(np.array(self.tok.encode(part, add_special_tokens=False).ids, dtype="<u4"))
+
+    def __missing__(self, part: str):
+        got = self.one(part)
         if len(part) <= CACHE_CHARS:
-            if len(self) >= CACHE_PARTS:
-                self.clear()
-            self[part] = ids
-        return ids
+            self[part] = got
+        return got
+
+    def _stem(self, part: str) -> tuple[str, str] | None:
+        """(letters, tail) of a part that can be encoded with others."""
+        tail = part[-1:] if part[-1:] in ".,;:" else ""
+        stem = part[: len(part) - len(tail)]
+        if self.style == "word":
+            return (stem.lower(), tail) if stem and latin(stem) else None
+        return (stem, tail) if stem.isalpha() or (stem[:1] == " " and stem[1:].isalpha()) else None
+
+    def learn(self, parts: list[str]) -> None:
+        fresh = [p for p in set(parts) if p not in self and len(p) <= CACHE_CHARS]
+        if len(self) + 2 * len(fresh) > CACHE_PARTS + self.first:
+            keep = list(self.items())[: self.first + CACHE_PARTS // 2]
+            self.clear()
+            self.update(keep)
+            fresh = [p for p in set(parts) if p not in self and len(p) <= CACHE_CHARS]
+        stems = {p: s for p in fresh if (s := self._stem(p))}
+        todo = sorted({s for s, _ in stems.values() if s not in self})
+        if self.style == "word":
+            self._together(todo, " ")
+        else:
+            self._together([s for s in todo if s[0] == " "], "")
+            self._together([s for s in todo if s[0] != " "], "\n")
+        for p, (s, tail) in stems.items():
+            if p != s:
+                self[p] = self[s] + self[tail] if tail else self[s]
+
+
+    def _together(self, stems: list[str], between: str) -> None:
+        """Encode stems as one text; ``between`` is dropped, opens no token, or is a token of its own."""
+        if not stems:
+            return
+        ids = np.array(self.tok.encode_batch_fast([between.join(stems)], add_special_tokens=False)[0].ids, dtype="<u4")
+        if between == "\n":
+            at = np.flatnonzero(ids == self.feed)
+            starts, ends = np.append(0, at + 1), np.append(at, len(ids))
+        elif self.style == "word":
+            ends = np.flatnonzero(self.edge[ids]) + 1
+            starts = np.append(0, ends[:-1])
+        else:
+            starts = np.flatnonzero(self.edge[ids])
+            ends = np.append(starts[1:], len(ids))
+        if len(starts) == len(stems):
+            for s, a, b in zip(stems, starts.tolist(), ends.tolist(), strict=True):
+                self[s] = self.value(ids[a:b])
+        else:  # a vocabulary with other word marks: one by one
+            for s in stems:
+                self[s] = self.one(s)
 
 
-class PartCounts(dict):
-    """part -> number of ids. ``frequent`` is the first tier, shared by all workers."""
+class PartIds(PartCache):
+    """Ids as little-endian uint32 bytes."""
 
-    def __init__(self, path: str, frequent: dict[str, int] | None = None):
-        super().__init__(frequent or {})
-        self.tok, self.first = load(path), frequent or {}
+    def value(self, ids: np.ndarray) -> bytes:
+        return ids.tobytes()
 
-    def __missing__(self, part: str) -> int:
-        if cut := tail_of(part):
-            n = self[part[:cut]] + self[part[cut:]]
-        else:
-            n = len(self.tok.encode(part, add_special_tokens=False).ids)
-        if len(part) <= CACHE_CHARS:
-            if len(self) >= CACHE_PARTS + len(self.first):
-                self.clear()
-                self.update(self.first)
-            self[part] = n
-        return n
+
+class PartCounts(PartCache):
+    """Numbers of ids."""
+
+    def value(self, ids: np.ndarray) -> int:
+        return len(ids)
+
+
+def encode_texts(cache: PartIds, texts: list[str]) -> list[bytes]:
+    """The ids of whole texts."""
+    cut = word_parts if cache.style == "word" else byte_parts
+    parts = [cut(t) for t in texts]
+    cache.learn([p for t in parts for p in t])
+    return [b"".join(map(cache.__getitem__, t)) for t in parts]
 
 
-def ids_bytes(cache: PartIds, parts: list[str]) -> bytes:
-    return b"".join(map(cache.__getitem__, parts))
+def count_texts(cache: PartCounts, texts: list[str]) -> list[int]:
+    """Numbers of ids of whole texts."""
+    cut = word_parts if cache.style == "word" else byte_parts
+    parts = [cut(t) for t in texts]
+    cache.learn([p for t in parts for p in t])
+    return [sum(map(cache.__getitem__, t)) for t in parts]
