@@ -25,4 +25,15 @@ SQL: dict[str, str] = {
                vec_id = coalesce(least(vec_id, m), vec_id) AS kept
         FROM embeddings LEFT JOIN low ON low.a = vec_id LEFT JOIN n ON n.a = vec_id
     """,
+    "op10_substring_dedup": r"""
+        WITH w AS (SELECT doc_id, list_filter(regexp_split_to_array(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda x: x <> '') AS ws FROM documents),
+        s AS (SELECT doc_id, ws, unnest(range(1, len(ws) - 18)) AS p FROM w WHERE len(ws) >= 20),
+        g AS (SELECT doc_id, p, array_to_string(ws[p:p+19], ' ') AS t FROM s),
+        r AS (SELECT doc_id, p, row_number() OVER (PARTITION BY t ORDER BY doc_id, p) AS nth FROM g),
+        c AS (SELECT DISTINCT doc_id, unnest(range(p, p + 20)) AS k FROM r WHERE nth > 1),
+        gone AS (SELECT doc_id, list(k) AS ks FROM c GROUP BY doc_id)
+        SELECT w.doc_id, len(ws)::BIGINT AS n_words, coalesce(len(ks), 0)::BIGINT AS n_removed,
+               sha256(array_to_string(CASE WHEN ks IS NULL THEN ws ELSE list_filter(ws, lambda x, i: NOT list_contains(ks, i)) END, ' ')) AS kept_sha256
+        FROM w LEFT JOIN gone ON w.doc_id = gone.doc_id
+    """,
 }
