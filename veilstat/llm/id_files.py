@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import scratch_dir, small_batches, stage, texts_of
+from .common import raw_bytes, scratch_dir, small_batches, stage, texts_of
 
 MAGIC = b"IDPLANE1"
 BLOCK = 1 << 16
@@ -161,13 +161,13 @@ def write_ids(docs: DataFrame, path: str, folder: str, end_id: int = 1, kind: st
     Shards follow ascending doc_id (null ids first; rows that repeat an id in order of
     text); a null text is an empty one and has the end id alone.
     """
-    from .tokenizer_cache import PartIds, encode_texts
+    from .unit_encoder import UnitEncoder
 
     small_batches(docs.sparkSession)
     end = np.array([end_id], "<u4").tobytes()
 
     def write(batches):
-        cache, writer, n_ids = PartIds(path, "word"), None, 0
+        encoder, writer, n_ids = UnitEncoder(path, "word"), None, 0
         task = TaskContext.get()
         for batch in batches:
             if not batch.num_rows:
@@ -178,10 +178,12 @@ def write_ids(docs: DataFrame, path: str, folder: str, end_id: int = 1, kind: st
                 store.create_dir(at.rsplit("/", 1)[0], recursive=True)
                 sink = store.open_output_stream(at)
                 writer = ShardWriter(sink, kind)
-            for doc_id, ids in zip(batch.column(0).to_pylist(), encode_texts(cache, texts_of(batch.column(1)).to_pylist()), strict=True):
-                ids += end
-                n_ids += len(ids) // 4
-                writer.add(doc_id, ids)
+            doc_ids = batch.column(0).to_pylist()
+            for first, ids, counts in encoder.encode_rows(*raw_bytes(texts_of(batch.column(1)))):
+                stops = np.cumsum(counts)
+                for k, (a, b) in enumerate(zip((stops - counts).tolist(), stops.tolist(), strict=True)):
+                    writer.add(doc_ids[first + k], ids[a:b].tobytes() + end)
+                n_ids += len(ids) + len(counts)
         if writer is not None:
             writer.close()
             sink.close()

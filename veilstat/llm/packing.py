@@ -19,8 +19,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import small_batches, stage, texts_of
-from .tokenizer_cache import PartIds, encode_texts
+from .common import raw_bytes, small_batches, stage, texts_of
+from .unit_encoder import UnitEncoder
 
 ROUNDS = 48
 #: Pieces that one ranking bucket holds on average.
@@ -160,20 +160,22 @@ def token_pieces(docs: DataFrame, path: str, capacity: int = 2048, end_id: int =
     width = 4 * capacity
 
     def cut(batches):
-        cache = PartIds(path, "byte")
+        encoder = UnitEncoder(path, "byte")
         for batch in batches:
             rows, piece, start, length, crc = [], [], [], [], []
-            for i, got in enumerate(encode_texts(cache, texts_of(batch.column(1)).to_pylist())):
-                got += end
-                head = len(got) % width or width
-                bounds = [0, *range(head, len(got) + 1, width)]
-                for p in range(len(bounds) - 1):
-                    a, b = bounds[p], bounds[p + 1]
-                    rows.append(i)
-                    piece.append(p)
-                    start.append(a // 4)
-                    length.append((b - a) // 4)
-                    crc.append(zlib.crc32(got[a:b]))
+            for first, ids, counts in encoder.encode_rows(*raw_bytes(texts_of(batch.column(1)))):
+                raw, stops = ids.tobytes(), 4 * np.cumsum(counts)
+                for k, (at, stop) in enumerate(zip((stops - 4 * counts).tolist(), stops.tolist(), strict=True)):
+                    got = raw[at:stop] + end
+                    head = len(got) % width or width
+                    bounds = [0, *range(head, len(got) + 1, width)]
+                    for p in range(len(bounds) - 1):
+                        a, b = bounds[p], bounds[p + 1]
+                        rows.append(first + k)
+                        piece.append(p)
+                        start.append(a // 4)
+                        length.append((b - a) // 4)
+                        crc.append(zlib.crc32(got[a:b]))
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int64())), pa.array(piece, pa.int32()), *[pa.array(c, pa.int64()) for c in (start, length, crc)]], ["doc_id", "piece", "start", "length", "ids_crc32"])
 
     return docs.select("doc_id", "text").mapInArrow(cut, f"doc_id {ids}, piece int, start long, length long, ids_crc32 long")

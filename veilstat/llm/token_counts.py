@@ -1,65 +1,73 @@
 """Token counts of whole texts by a two-tier map-side lookup.
 
-Tier one is a table of the most frequent white-space delimited parts and their token
+Tier one is a compact hash table of the most frequent pre-token units and their token
 lengths, at most ``FREQUENT`` entries, broadcast to every task. It is found from all
-documents: each task keeps a bounded summary of its own parts (counts of the heaviest
-``SUMMARY``), only the summaries are added up, and no part of a text is ever shuffled.
-Tier two is a worker's own bounded cache, in which parts that tier one misses are encoded
-once. Both tiers change speed only; every count is the tokenizer's.
+documents: each task keeps a bounded summary of its own units (the heaviest ``SUMMARY``),
+only the summaries are added up, and no unit of a text is ever shuffled. Tier two is a
+worker's own bounded cache, in which units that tier one misses are encoded once. Both
+tiers change speed only; every count is the tokenizer's.
 """
 
 from __future__ import annotations
 
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, small_batches, texts_of
-from .tokenizer_cache import PartCounts, count_texts, word_parts
+from .common import only, raw_bytes, small_batches, texts_of
+from .unit_encoder import SLICE, UnitEncoder, slices
 
 FREQUENT = 16_384
 SUMMARY = 2_048
-#: A task's counter is pruned to its heavier half when it holds this many parts.
-COUNTER = 200_000
+#: A task's counter is pruned to its heavier half when it holds this many units.
+COUNTER = 100_000
 
 
-def _summaries(batches):
-    counts: Counter = Counter()
-    for batch in batches:
-        for text in texts_of(batch.column(0)).to_pylist():
-            counts.update(word_parts(text))
-        if len(counts) > COUNTER:
-            counts = Counter(dict(counts.most_common(COUNTER // 2)))
-    counts.pop("", None)
-    top = [(p, n) for p, n in counts.most_common(SUMMARY) if len(p) <= 64]
-    yield pa.RecordBatch.from_arrays([pa.array([p for p, _ in top], pa.string()), pa.array([n for _, n in top], pa.int64())], ["part", "n"])
+def _summaries(path: str, style: str):
+    def run(batches):
+        encoder, counts = UnitEncoder(path, style, counts_only=True), Counter()
+        for batch in batches:
+            data, offs = raw_bytes(texts_of(batch.column(0)))
+            for a, b in slices(offs, SLICE):
+                for unit, n in encoder.weigh(data[offs[a] : offs[b]], offs[a : b + 1] - offs[a]):
+                    counts[unit] += n
+                if len(counts) > COUNTER:
+                    counts = Counter(dict(counts.most_common(COUNTER // 2)))
+        top = [(u, n) for u, n in counts.most_common(SUMMARY) if len(u) <= 64]
+        yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], ["unit", "n"])
+
+    return run
 
 
-def frequent_parts(docs: DataFrame, path: str, most: int = FREQUENT) -> dict[str, int]:
-    """The corpus's most frequent parts with their token lengths; at most ``most`` reach the driver."""
-    summed = only(docs, "text").mapInArrow(_summaries, "part string, n long").groupBy("part").agg(F.sum("n").alias("n"))
-    top = [r.part for r in summed.orderBy(F.desc("n"), "part").limit(most).select("part").collect()]
-    counts = PartCounts(path, "word")
-    return {p: counts[p] for p in top}
+def frequent_units(docs: DataFrame, path: str, style: str, most: int = FREQUENT) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Hashes, checks and token lengths of the corpus's heaviest units; at most ``most`` reach the driver."""
+    summed = only(docs, "text").mapInArrow(_summaries(path, style), "unit binary, n long").groupBy("unit").agg(F.sum("n").alias("n"))
+    top = [bytes(r.unit) for r in summed.orderBy(F.desc("n"), "unit").limit(most).select("unit").collect()]
+    encoder = UnitEncoder(path, style, counts_only=True)
+    encoder.encode(*raw_bytes(pa.array(top, pa.binary())))
+    return encoder.known_units()
 
 
-def token_counts(docs: DataFrame, path: str, limit: int = 2048) -> DataFrame:
+def token_counts(docs: DataFrame, path: str, limit: int = 2048, style: str = "word") -> DataFrame:
     """doc_id, n_bytes, n_tokens, over_limit for every row; a null text is an empty one.
 
-    For word-level tokenizers that drop white space (``word_bpe``). Repeated rows and rows
-    whose id is null give a row each; an empty table gives an empty result.
+    ``style`` is ``word`` (white space dropped, ends of words marked) or ``byte`` (byte
+    level). Repeated rows and rows whose id is null give a row each; an empty table gives an
+    empty result.
     """
     small_batches(docs.sparkSession)
-    table = docs.sparkSession.sparkContext.broadcast(frequent_parts(docs, path))
+    table = docs.sparkSession.sparkContext.broadcast(frequent_units(docs, path, style))
 
     def count(batches):
-        cache = PartCounts(path, "word", table.value)
+        encoder = UnitEncoder(path, style, counts_only=True, frequent=table.value)
         for batch in batches:
-            n = count_texts(cache, texts_of(batch.column(1)).to_pylist())
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(n, pa.int64())], ["doc_id", "n_bytes", "n_tokens"])
+            data, offs = raw_bytes(texts_of(batch.column(1)))
+            n = [counts for _, _, counts in encoder.encode_rows(data, offs)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(offs)), pa.array(np.concatenate(n) if n else np.zeros(0, np.int64))], ["doc_id", "n_bytes", "n_tokens"])
 
     ids = docs.schema["doc_id"].dataType.simpleString()
-    counted = docs.select("doc_id", "text", F.octet_length(F.coalesce("text", F.lit(""))).cast("long").alias("n_bytes")).mapInArrow(count, f"doc_id {ids}, n_bytes long, n_tokens long")
+    counted = only(docs, "doc_id", "text").mapInArrow(count, f"doc_id {ids}, n_bytes long, n_tokens long")
     return counted.withColumn("over_limit", F.col("n_tokens") > limit)
