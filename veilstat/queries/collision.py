@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import math
-
 from pyspark.sql import functions as F
 
 from ..functions.coins import uniform
@@ -124,6 +122,3 @@ def hash_gini_boosted(spark, d):
 def hash_gini_as_printed(spark, d):
     """The uncorrected form, for ablation: it estimates the collision probability, not the Gini entropy."""
     return C.collision_sketch(exponential_users(spark, d), "user_id", ["x"], as_printed=True)
-
-
-LOG2 = math.log(2)

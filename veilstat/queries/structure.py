@@ -211,7 +211,7 @@ def chain_locate(spark, d):
     return spark.createDataFrame(rows, "new int, left_place int")
 
 
-_STAR = f"""
+STAR_SQL = f"""
   dir AS (SELECT i AS a, j AS b, mi FROM edges UNION ALL SELECT j, i, mi FROM edges),
   first AS (SELECT CAST(floor({coin('pub', 'star')} * {D}) AS INT) AS a),
   partner AS (SELECT b AS a FROM dir JOIN first USING (a) ORDER BY mi DESC, b LIMIT 1),
@@ -219,12 +219,12 @@ _STAR = f"""
   hub AS (SELECT CASE WHEN x.s > y.s THEN x.a ELSE y.a END AS hub FROM first JOIN sums AS x USING (a), partner JOIN sums AS y USING (a))"""
 
 
-@query("star_hub_exact", f"{base_sql(W.STAR6)}, {_STAR} SELECT CAST(hub AS INT) AS hub FROM hub")
+@query("star_hub_exact", f"{base_sql(W.STAR6)}, {STAR_SQL} SELECT CAST(hub AS INT) AS hub FROM hub")
 def star_hub_exact(spark, d):
     return spark.createDataFrame([(T.star_hub(source(spark, d, W.STAR6), D)[0],)], "hub int")
 
 
-@query("star_entropy_exact", f"{base_sql(W.STAR6)}, {_STAR} SELECT {tidy('(SELECT sum(h) FROM marginals) - (SELECT s FROM sums JOIN hub ON a = hub)')} AS entropy FROM (SELECT 1)")
+@query("star_entropy_exact", f"{base_sql(W.STAR6)}, {STAR_SQL} SELECT {tidy('(SELECT sum(h) FROM marginals) - (SELECT s FROM sums JOIN hub ON a = hub)')} AS entropy FROM (SELECT 1)")
 def star_entropy_exact(spark, d):
     return row(spark, entropy=round(T.star_entropy(source(spark, d, W.STAR6), D).entropy, 6))
 
