@@ -15,6 +15,8 @@ from pyspark.sql import functions as F
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.
 WHITE = r"[\x20\x09-\x0D]+"
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 _own_scratch: dict[str, str] = {}
 _staged: list[str] = []
 
@@ -44,7 +46,13 @@ def stage(df: DataFrame, name: str) -> DataFrame:
     """Write ``df`` to the shared folder and read it back: cuts lineage, survives lost executors."""
     spark = df.sparkSession
     path = f"{scratch_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    # The table stands for the plan from here on: its shuffle files can go with the write.
+    before = spark.conf.get(_CLEANUP, "false")
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(_CLEANUP, before)
     _staged.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -97,6 +105,20 @@ def text_slices(batch: pa.RecordBatch, text: str = "text") -> Iterator[tuple[pa.
         yield batch.slice(a, b - a), data[offs[a] : offs[b]], offs[a : b + 1] - offs[a]
 
 
+#: Rows of ids or fingerprints that are broadcast at most: tens of MB, whatever the corpus.
+BROADCAST_ROWS = 200_000
+
+
+def sized(df: DataFrame, hint: str | None = "shuffle_hash", most: int = BROADCAST_ROWS) -> DataFrame:
+    """A narrow side of a join: broadcast when a count shows that it is small, else shuffled.
+
+    Give a staged table, as it is counted first (up to the bound).
+    """
+    if df.limit(most + 1).count() <= most:
+        return F.broadcast(df)
+    return df.hint(hint) if hint else df
+
+
 def only(df: DataFrame, *names: str) -> DataFrame:
     """Just these columns, whatever others there are."""
     return df.select(*[F.col(f"`{n}`") for n in names])

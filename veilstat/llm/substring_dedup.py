@@ -18,8 +18,8 @@ from __future__ import annotations
 import hashlib
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -62,34 +62,55 @@ def _read(blob: bytes):
     return low, np.repeat(ids, per), np.repeat(keys, per), where - np.repeat(start, per), *more
 
 
-def _by_document(d: np.ndarray, t: np.ndarray, at: np.ndarray) -> pd.DataFrame:
-    """Rows (d, t, positions as uint32 bytes)."""
-    order = np.lexsort((at, t, d))
-    d, t, at = d[order], t[order], at[order].astype("<u4")
-    cuts = np.flatnonzero((np.diff(d) != 0) | (np.diff(t) != 0)) + 1
-    starts = np.concatenate(([0], cuts)).astype(int) if len(d) else np.zeros(0, int)
-    return pd.DataFrame({"d": d[starts], "t": t[starts], "at": [x.tobytes() for x in np.split(at, cuts)] if len(d) else []})
+def _replies(d: np.ndarray, t: np.ndarray, at: np.ndarray, groups: int):
+    """Packed rows (g, blob): places dealt by document to groups, each document's in a run."""
+    g = (mix(d.view(np.uint64) ^ mix(t.view(np.uint64))) % np.uint64(groups)).astype(np.int64)
+    order = np.lexsort((at, t, d, g))
+    d, t, at, g = d[order], t[order], at[order].astype(np.uint32), g[order]
+    for part in np.split(np.arange(len(g)), np.flatnonzero(np.diff(g)) + 1):
+        if len(part):
+            x = slice(part[0], part[-1] + 1)
+            head = np.flatnonzero(np.concatenate(([True], (np.diff(d[x]) != 0) | (np.diff(t[x]) != 0))))
+            yield int(g[part[0]]), squeeze(d[x][head], t[x][head], np.diff(head, append=len(part)).astype(np.uint32), at[x])
+
+
+def _assemble(batches):
+    """One row (d, t, at) for each document from the packed rows of its group."""
+    held: dict[int, list] = {}
+    for batch in batches:
+        for g, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            held.setdefault(g, []).append(raw)
+    while held:
+        cols = []
+        for raw in held.popitem()[1]:
+            d, t, per, at = unsqueeze(raw)
+            cols.append((np.repeat(d, per), np.repeat(t, per), at))
+        d, t, at = (np.concatenate(c) for c in zip(*cols, strict=True))
+        order = np.lexsort((at, t, d))
+        d, t, at = d[order], t[order], at[order].astype("<u4")
+        cuts = np.flatnonzero((np.diff(d) != 0) | (np.diff(t) != 0)) + 1
+        head = np.concatenate(([0], cuts))
+        for a in range(0, len(head), 2000):
+            some = head[a : a + 2000]
+            stops = np.append(head[a + 1 : a + 2001], len(d))[: len(some)]
+            yield pa.RecordBatch.from_arrays([pa.array(d[some]), pa.array(t[some]), pa.array([at[x:y].tobytes() for x, y in zip(some.tolist(), stops.tolist(), strict=True)], pa.binary())], ["d", "t", "at"])
 
 
 def _slice_keys(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
     return part.column(0).to_numpy(), part.column(1).to_numpy()
 
 
-_SENT = ["p", "blob", "d", "t", "at"]
-_SENT_SCHEMA = "p int, blob binary, d long, t long, at binary"
+_SENT = ["p", "g", "blob"]
+_SENT_SCHEMA = "p int, g int, blob binary"
 
 
-def _rows(sent: list[tuple], known: pd.DataFrame, parts: int):
-    """Packed rows and rows already decided; the latter ride along to some partition."""
-    n, m = len(sent), len(known)
-    p = [s[0] for s in sent] + [int(x) % parts for x in known["d"]]
+def _rows(sent: list[tuple], known: list[tuple]):
+    """Packed rows to look at (g is -1), and packed replies that ride along."""
     return pa.RecordBatch.from_arrays(
         [
-            pa.array(p, pa.int32()),
-            pa.array([s[1] for s in sent] + [None] * m, pa.binary()),
-            pa.array([0] * n + known["d"].tolist(), pa.int64()),
-            pa.array([0] * n + known["t"].tolist(), pa.int64()),
-            pa.array([None] * n + known["at"].tolist(), pa.binary()),
+            pa.array([p for p, _ in sent] + [g for g, _ in known], pa.int32()),
+            pa.array([-1] * len(sent) + [g for g, _ in known], pa.int32()),
+            pa.array([b for _, b in sent] + [b for _, b in known], pa.binary()),
         ],
         _SENT,
     )
@@ -120,26 +141,29 @@ def _probe(parts: int, block: int):
                 hashed = g[first_at]
                 sent = list(_emit((hashed >> np.uint64(32)).astype(np.int64) % parts, hashed.astype(np.uint32), places, d, t, ends, [flag]))
                 known = np.sort(at[order[twice]])
-                yield _rows(sent, _by_document(d[row[known]], t[row[known]], known - base[row[known]]), parts)
+                yield _rows(sent, list(_replies(d[row[known]], t[row[known]], known - base[row[known]], parts)))
 
     return run
 
 
-def _gather(batches, decide):
-    """Decode a partition's rows by p, pass decided rows on, and yield what ``decide`` finds."""
-    held: dict[int, list] = {}
-    for batch in batches:
-        p, blob = batch.column(0).to_pylist(), batch.column(1)
-        done = batch.filter(blob.is_null())
-        if done.num_rows:
-            yield pa.RecordBatch.from_arrays(done.columns[2:], ["d", "t", "at"])
-        for k, raw in zip(p, blob, strict=True):
-            if raw.is_valid:
-                held.setdefault(k, []).append(raw.as_py())
-    while held:
-        _, blobs = held.popitem()
-        found = decide([np.concatenate(c) for c in zip(*map(_read, blobs), strict=True)])
-        yield pa.RecordBatch.from_pandas(_by_document(*found), pa.schema([("d", pa.int64()), ("t", pa.int64()), ("at", pa.binary())]), preserve_index=False)
+def _gather(decide, parts: int):
+    """Decode a partition's rows by p, pass replies on, and reply with what ``decide`` finds."""
+
+    def run(batches):
+        held: dict[int, list] = {}
+        for batch in batches:
+            done = batch.filter(pc.greater_equal(batch.column(1), 0))
+            if done.num_rows:
+                yield pa.RecordBatch.from_arrays(done.columns[1:], ["g", "blob"])
+            for p, g, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if g < 0:
+                    held.setdefault(p, []).append(raw)
+        while held:
+            _, blobs = held.popitem()
+            out = list(_replies(*decide([np.concatenate(c) for c in zip(*map(_read, blobs), strict=True)]), parts))
+            yield pa.RecordBatch.from_arrays([pa.array([g for g, _ in out], pa.int32()), pa.array([b for _, b in out], pa.binary())], ["g", "blob"])
+
+    return run
 
 
 def _hit(columns):
@@ -165,8 +189,8 @@ def _windows(parts: int, window: int, block: int):
                 ends = np.cumsum(counts)
                 base = ends - counts
                 near = np.zeros(len(row) + 1, dtype=np.int64)
-                for i, lists in enumerate(hits):
-                    got = np.unique(np.concatenate([np.frombuffer(x, "<u4") for x in lists])).astype(np.int64)
+                for i, raw in enumerate(hits):
+                    got = np.frombuffer(raw, "<u4").astype(np.int64)
                     np.add.at(near, base[i] + np.maximum(got - (window - block), 0), 1)
                     np.add.at(near, base[i] + got + 1, -1)
                 at, g = grams(row, h, window)
@@ -186,7 +210,7 @@ def _windows(parts: int, window: int, block: int):
                 rest = x[~new & later]
                 send = np.sort(by[new])
                 sent = list(_emit((g[send] >> np.uint64(32)).astype(np.int64) % parts, g[send], at[send], d, t, ends, [second[send]]))
-                yield _rows(sent, _by_document(d[r[rest]], t[r[rest]], pos[rest]), parts)
+                yield _rows(sent, list(_replies(d[r[rest]], t[r[rest]], pos[rest], parts)))
 
     return run
 
@@ -203,6 +227,12 @@ def _repeat(columns):
     return d[later], t[later], at[later]
 
 
+def _answer(sent: DataFrame, decide, parts: int) -> DataFrame:
+    """(d, t, at): the places that ``decide`` picks, one row for each document."""
+    replies = sent.repartition(parts, "p").mapInArrow(_gather(decide, parts), "g int, blob binary")
+    return replies.repartition(parts, "g").mapInArrow(_assemble, "d long, t long, at binary")
+
+
 def repeats(docs: DataFrame, window: int = WINDOW, block: int = BLOCK) -> tuple[DataFrame, DataFrame]:
     """(touched documents with their texts, (d, t, at): starts of windows that stand earlier, too)."""
     if 2 * block - 1 > window:
@@ -214,13 +244,11 @@ def repeats(docs: DataFrame, window: int = WINDOW, block: int = BLOCK) -> tuple[
     parts = max(1, -(-total // (6 * SHARE)))
     run = _probe(parts, block)
     probes = keyed.select("d", "t", "text").mapInArrow(run, _SENT_SCHEMA)
-    hits = probes.repartition(parts, "p").mapInArrow(lambda b: _gather(b, _hit), "d long, t long, at binary")
-    hits = hits.groupBy("d", "t").agg(F.collect_list("at").alias("at"))
+    hits = stage(_answer(probes, _hit, parts), "hits")
     touched = stage(keyed.select("d", "t", "text").join(hits.hint("shuffle_hash"), ["d", "t"]), "touched")
     run = _windows(parts, window, block)
     sent = touched.select("d", "t", "text", "at").mapInArrow(run, _SENT_SCHEMA)
-    found = sent.repartition(parts, "p").mapInArrow(lambda b: _gather(b, _repeat), "d long, t long, at binary")
-    return touched, found.groupBy("d", "t").agg(F.collect_list("at").alias("starts"))
+    return touched, stage(_answer(sent, _repeat, parts).withColumnRenamed("at", "starts"), "repeats")
 
 
 _TRIM = dict(n_words="long", n_removed="long", kept_sha256="string", kept_text="string")
@@ -243,7 +271,7 @@ def _trim(window: int, with_text: bool):
                     keep = np.ones(counts[i], bool)
                     if starts[i]:
                         cover = np.zeros(counts[i] + 1, np.int64)
-                        got = np.unique(np.concatenate([np.frombuffer(x, "<u4") for x in starts[i]])).astype(np.int64)
+                        got = np.unique(np.frombuffer(starts[i], "<u4")).astype(np.int64)
                         cover[got] += 1
                         np.add.at(cover, np.minimum(got + window, counts[i]), -1)
                         keep = np.cumsum(cover[:-1]) == 0
@@ -268,9 +296,9 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, block: int = BLOCK, wi
     """
     touched, found = repeats(docs, window, block)
     run, schema = _trim(window, with_text)
-    trimmed = touched.select("d", "t", "text").dropDuplicates(["d", "t"]).join(found.hint("shuffle_hash"), ["d", "t"]).select("d", "t", "text", "starts").mapInArrow(run, schema)
+    trimmed = touched.select("d", "t", "text").join(found.hint("shuffle_hash"), ["d", "t"]).select("d", "t", "text", "starts").mapInArrow(run, schema).dropDuplicates(["d", "t"])
     keyed = _keyed(docs)
-    plain = keyed.select("d", "t", "text", F.lit(None).cast("array<binary>").alias("starts"), "doc_id")
+    plain = keyed.select("d", "t", "text", F.lit(None).cast("binary").alias("starts"), "doc_id")
     ids = docs.schema["doc_id"].dataType.simpleString()
 
     def whole(batches):
