@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WHITE, only, raw_bytes, small_batches, stage, text_slices
+from .common import WHITE, only, sized, small_batches, stage, text_slices
 
 PRIME = (1 << 31) - 1
 #: Fixed bases of the four polynomials.
@@ -93,10 +93,10 @@ def combine_chunks(chunks: DataFrame, prime: int = PRIME) -> DataFrame:
     """
 
     def shift(base: int) -> Column:
-        out = F.lit(1).cast("long")
-        for bit in range(48):
-            out = F.when(F.shiftright(F.col("start"), bit).bitwiseAND(F.lit(1)) == 1, out * F.lit(pow(base % prime, 1 << bit, prime)) % F.lit(prime)).otherwise(out)
-        return out
+        powers = F.array(*[F.lit(pow(base % prime, 1 << bit, prime)).cast("long") for bit in range(48)])
+        bit_set = lambda bit: F.pmod(F.floor(F.col("start") / F.pow(F.lit(2.0), bit)).cast("long"), F.lit(2)) == 1
+        used = F.transform(powers, lambda x, bit: F.when(bit_set(bit), x).otherwise(F.lit(1).cast("long")))
+        return F.aggregate(used, F.lit(1).cast("long"), lambda out, x: out * x % F.lit(prime))
 
     moved = chunks.select("doc_key", "n_bytes", *[(F.col(f"h{k}") * shift(b) % F.lit(prime)).alias(f"h{k}") for k, b in enumerate(BASES, 1)])
     return moved.groupBy("doc_key").agg(F.sum("n_bytes").alias("n_bytes"), *[(F.sum(f"h{k}") % F.lit(prime)).alias(f"h{k}") for k in range(1, len(BASES) + 1)])
@@ -139,8 +139,8 @@ def differing(docs: DataFrame, prints: DataFrame) -> DataFrame:
     groups = groups.withColumn("shares", F.ceil(F.col("n") / GROUP_SHARE).cast("long"))
     texts = docs.select("doc_id", normalised(F.col("text")).alias("text"))
     # Only rows in groups of two or more carry their text on.
-    members = prints.select("doc_id", *PRINT).join(groups, PRINT).select("doc_id", *PRINT, "first", "shares")
-    with_text = texts.join(members.hint("shuffle_hash"), "doc_id")
+    members = stage(prints.select("doc_id", *PRINT).join(groups, PRINT).select("doc_id", *PRINT, "first", "shares"), "group-members")
+    with_text = texts.join(sized(members), "doc_id")
     firsts = with_text.where("doc_id = first").select(*PRINT, F.col("text").alias("first_text"), F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("share")).dropDuplicates([*PRINT, "share"])
     others = with_text.where("doc_id <> first").withColumn("share", salted)
     same = F.pandas_udf(_same, "boolean")
@@ -159,7 +159,7 @@ def exact_groups(docs: DataFrame, prime: int = PRIME) -> DataFrame:
     docs = only(docs, "doc_id", "text")
     prints = stage(fingerprints(docs, prime), "fingerprints")
     odd = stage(differing(docs, prints), "fingerprint-collisions").withColumn("odd", F.lit(True))
-    keyed = prints.join(F.broadcast(odd) if odd.limit(10_001).count() <= 10_000 else odd, PRINT, "left")
+    keyed = prints.join(sized(odd, None), PRINT, "left")
     keyed = keyed.withColumn("which", F.when(F.col("odd"), F.col("text_sha256")).otherwise("")).drop("odd")
     key = [*PRINT, "which"]
     groups = keyed.groupBy(*key).agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
