@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from veilstat.llm.common import read_table, stage
+from veilstat.llm.common import read_table, sized, stage
 from veilstat.llm.exact_dedup import exact_groups
 from veilstat.llm.ngram_join import ngram_groups
 from veilstat.llm.packing import pack_documents
@@ -28,15 +28,15 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the smallest id, of each group of equal texts."""
     groups = exact_groups(docs)
-    dropped = groups.where(~F.col("kept")).select("doc_id")
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    dropped = stage(groups.where(~F.col("kept")).select("doc_id"), "dropped")
+    return docs.join(sized(dropped, None), "doc_id", "left_anti").select(*docs.columns)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document, that of the smallest id, of each group linked by near copies."""
     groups = ngram_groups(docs, NEAR_WORDS, NEAR_PERCENT)
-    dropped = groups.where("doc_id <> component_id").select("doc_id")
-    return docs.join(dropped, "doc_id", "left_anti").select(*docs.columns)
+    dropped = stage(groups.where("doc_id <> component_id").select("doc_id"), "dropped")
+    return docs.join(sized(dropped, None), "doc_id", "left_anti").select(*docs.columns)
 
 
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -6,15 +6,16 @@ sorted by it and cut into fragments, ranges of the order.
 
 1. Equal sets fold into one (128-bit sum of its hashes and the size); a group of copies is
    one set from here on.
-2. The first n-grams of a set, of which every partner must hold at least one, are dealt by
-   hash; n-grams that several sets hold propose pairs, checked by size and by place.
+2. The first n-grams of a set, of which every partner must hold some, are dealt by hash;
+   n-grams that several sets hold propose pairs, checked by size, by place, and by how many
+   first n-grams the two share.
 3. A proposed pair's overlap is counted fragment by fragment, in different tasks, and the
    partial counts are summed for the pair. Members meet their partner in shares of bounded
    size.
-4. Pairs are proposed in two rounds: first each set with the leader it shares most with,
-   then, exactly, every proposed pair whose sets the first round left in different
-   components. Pairs inside one component need no count, so a large group of near copies
-   costs links in its size, not its square.
+4. Pairs are proposed in turns: first each set meets a few leaders that it shares most
+   with, then the few that promise most, and components join; at last, exactly, every
+   proposed pair whose sets are still in different components is counted. Pairs inside one component need no count, so a large
+   group of near copies costs links in its size, not its square.
 """
 
 from __future__ import annotations
@@ -22,19 +23,27 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import only, small_batches, stage, text_slices
+from .common import only, sized, small_batches, stage, text_slices
 from .components import components
 from .packed import squeeze, unsqueeze
 from .textkernel import grams, mix, stream, words
 
-SKETCH = 1 << 20
-FRAGMENTS = 8
+#: Cells of the counting sketch, a byte each: 16 MB in a worker and broadcast, whatever the corpus.
+SKETCH_BITS = 24
+SKETCH = 1 << SKETCH_BITS
+_CELL = np.uint64(64 - SKETCH_BITS)
+FRAGMENTS = 4
 #: First n-grams that one hash partition holds on average.
 SHARE = 1_000_000
 MEMBERS = 512
+#: Turns before all pairs that are left are counted, and sets that a set meets in a turn.
+TURNS = 4
+LEADERS = 4
+#: Share of a set's first n-grams that a pair holds in common to be met before the last turn.
+PROMISE = 0.25
 
 
 class Sets:
@@ -54,7 +63,7 @@ class Sets:
         if classes is None:
             order = np.lexsort((g, r))
         else:
-            order = np.lexsort((g, classes[(g >> np.uint64(44)).astype(np.int64)], r))
+            order = np.lexsort((g, classes[(g >> _CELL).astype(np.int64)], r))
         r, g = r[order], g[order]
         new = np.ones(len(r), bool)
         new[1:] = (r[1:] != r[:-1]) | (g[1:] != g[:-1])
@@ -86,19 +95,20 @@ def _least(n: np.ndarray, percent: int) -> np.ndarray:
 
 def _describe(k: int, sketch: int):
     def run(batches):
-        counts = np.zeros(sketch, np.int64)
+        counts = np.zeros(sketch, np.uint8)
         kind = None
         for batch in batches:
             kind = batch.schema.field(0).type
             for part, data, offs in text_slices(batch):
                 sets = Sets(data, offs, k)
-                counts += np.bincount((sets.gram >> np.uint64(44)).astype(np.int64), minlength=sketch)
+                cells, n = np.unique((sets.gram >> _CELL).astype(np.int64), return_counts=True)
+                counts[cells] = np.minimum(counts[cells] + n, 255).astype(np.uint8)
                 hi, lo = sets.ids()
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets.n, pa.int64()), pa.array(_sid(hi, lo), pa.binary()), pa.nulls(len(sets.n), pa.binary())], names)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(sets.n, pa.int64()), pa.array(_sid(hi, lo), pa.binary()), pa.nulls(len(sets.n), pa.binary())], names)
         if kind is not None:
-            yield pa.RecordBatch.from_arrays([pa.nulls(1, kind), pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([zstandard.compress(counts.tobytes(), 1)])], names)
+            yield pa.RecordBatch.from_arrays([pa.nulls(1, kind), pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([zstandard.compress(counts.tobytes(), 1)])], names)
 
-    names = ["doc_id", "n", "sid", "sketch"]
+    names = ["doc_id", "key", "n", "sid", "sketch"]
     return run
 
 
@@ -106,20 +116,21 @@ def _add_sketches(batches):
     total = None
     for batch in batches:
         for raw in batch.column(0).to_pylist():
-            one = np.frombuffer(zstandard.decompress(raw), np.int64)
-            total = one.copy() if total is None else total + one
+            one = np.frombuffer(zstandard.decompress(raw), np.uint8)
+            total = one.copy() if total is None else np.maximum(total, np.where(one > 255 - total, 255, total + one)).astype(np.uint8)
     if total is not None:
         yield pa.RecordBatch.from_arrays([pa.array([zstandard.compress(total.tobytes(), 1)])], ["sketch"])
 
 
 def frequency_classes(sketches: DataFrame) -> np.ndarray:
-    """log2 class of each sketch cell, one byte each; summed in two levels."""
+    """log2 class of each sketch cell, up to 8; counts saturate at 255 and are summed in two levels."""
     tasks = sketches.count()
     if not tasks:
         return np.zeros(SKETCH, np.uint8)
     some = sketches.repartition(max(1, int(tasks**0.5))).mapInArrow(_add_sketches, "sketch binary")
     raw = some.coalesce(1).mapInArrow(_add_sketches, "sketch binary").first()[0]
-    return np.ceil(np.log2(np.frombuffer(zstandard.decompress(raw), np.int64) + 1)).astype(np.uint8)
+    of_count = np.ceil(np.log2(np.arange(256) + 1)).astype(np.uint8)
+    return of_count[np.frombuffer(zstandard.decompress(raw), np.uint8)]
 
 
 def _prefixes(k: int, percent: int, parts: int, classes):
@@ -135,6 +146,10 @@ def _prefixes(k: int, percent: int, parts: int, classes):
                 place = np.arange(len(sets.gram)) - sets.start[sets.row]
                 keep = chosen[sets.row] & (place <= sets.n[sets.row] - _least(sets.n, percent)[sets.row])
                 g, r, place = sets.gram[keep], sets.row[keep], place[keep].astype(np.uint32)
+                # Where in the global order a set's first n-grams end.
+                last = np.zeros(len(sets.n), np.uint64)
+                order = (classes.value[(g >> _CELL).astype(np.int64)].astype(np.uint64) << np.uint64(56)) | (g >> np.uint64(8))
+                np.maximum.at(last, r, order)
                 if not len(g):
                     continue
                 p = (mix(g) % np.uint64(parts)).astype(np.int64)
@@ -143,7 +158,7 @@ def _prefixes(k: int, percent: int, parts: int, classes):
                 for part_of in np.split(order, np.flatnonzero(np.diff(p[order])) + 1):
                     who, index = np.unique(r[part_of], return_inverse=True)
                     ps.append(int(p[part_of[0]]))
-                    blobs.append(squeeze(g[part_of], place[part_of], index.astype(np.uint32), hi[who], lo[who], sets.n[who].astype(np.uint32)))
+                    blobs.append(squeeze(g[part_of], place[part_of], index.astype(np.uint32), hi[who], lo[who], sets.n[who].astype(np.uint32), last[who]))
                 yield pa.RecordBatch.from_arrays([pa.array(ps, pa.int32()), pa.array(blobs, pa.binary())], ["p", "blob"])
 
     return run
@@ -158,9 +173,9 @@ def _shared(batches):
     while held:
         cols = []
         for raw in held.popitem()[1]:
-            g, place, index, hi, lo, n = unsqueeze(raw)
-            cols.append((g, place, hi[index], lo[index], n[index]))
-        g, place, hi, lo, n = (np.concatenate(c) for c in zip(*cols, strict=True))
+            g, place, index, hi, lo, n, last = unsqueeze(raw)
+            cols.append((g, place, hi[index], lo[index], n[index], last[index]))
+        g, place, hi, lo, n, last = (np.concatenate(c) for c in zip(*cols, strict=True))
         order = np.argsort(g, kind="stable")
         same = np.zeros(len(g), bool)
         v = g[order]
@@ -168,17 +183,17 @@ def _shared(batches):
         same[:-1] |= v[1:] == v[:-1]
         order = order[same]  # of n-grams met once only, nothing is left
         order = order[np.lexsort((lo[order], hi[order], g[order]))]
-        g, place, hi, lo, n = g[order], place[order], hi[order], lo[order], n[order]
+        g, place, hi, lo, n, last = g[order], place[order], hi[order], lo[order], n[order], last[order]
         new = np.ones(len(g), bool)
         new[1:] = (g[1:] != g[:-1]) | (hi[1:] != hi[:-1]) | (lo[1:] != lo[:-1])
-        g, place, hi, lo, n = g[new], place[new], hi[new], lo[new], n[new]
+        g, place, hi, lo, n, last = g[new], place[new], hi[new], lo[new], n[new], last[new]
         several = np.zeros(len(g), bool)
         several[1:] = g[1:] == g[:-1]
         several[:-1] |= g[1:] == g[:-1]
-        g, place, hi, lo, n = g[several], place[several], hi[several], lo[several], n[several]
+        g, place, hi, lo, n, last = g[several], place[several], hi[several], lo[several], n[several], last[several]
         for at in range(0, len(g), 50_000):
             x = slice(at, at + 50_000)
-            yield pa.RecordBatch.from_arrays([pa.array(g[x].view(np.int64)), pa.array(_sid(hi[x], lo[x]), pa.binary()), pa.array(n[x], pa.int64()), pa.array(place[x], pa.int64())], ["gram", "sid", "n", "place"])
+            yield pa.RecordBatch.from_arrays([pa.array(g[x].view(np.int64)), pa.array(_sid(hi[x], lo[x]), pa.binary()), pa.array(n[x], pa.int64()), pa.array(place[x], pa.int64()), pa.array(last[x].view(np.int64))], ["gram", "sid", "n", "place", "last"])
 
 
 def _segments(k: int, fragments: int):
@@ -189,7 +204,7 @@ def _segments(k: int, fragments: int):
             for part, data, offs in text_slices(batch):
                 sets = Sets(data, offs, k)
                 cuts = [np.uint64((f << 64) // fragments) for f in range(1, fragments)]
-                out: list[list] = [[] for _ in range(7)]
+                out, held = [[] for _ in range(7)], 0
                 for i, (sid, roles) in enumerate(zip(part.column(0).to_pylist(), part.column(2).to_pylist(), strict=True)):
                     own = sets.gram[sets.start[i] : sets.start[i] + sets.n[i]]
                     segments = [s.tobytes() for s in np.split(own, np.searchsorted(own, cuts))]
@@ -197,7 +212,14 @@ def _segments(k: int, fragments: int):
                         for f, s in enumerate(segments):
                             for c, x in zip(out, (role["lead"], role["share"], f, role["member"], sid, int(sets.n[i]), s), strict=True):
                                 c.append(x)
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.binary(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.binary()), strict=True)], names)
+                        held += own.nbytes
+                        if held > 1 << 23:  # a set may have many roles
+                            yield batch_of(out)
+                            out, held = [[] for _ in range(7)], 0
+                yield batch_of(out)
+
+    def batch_of(out):
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.binary(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.int64(), pa.binary()), strict=True)], names)
 
     names = ["lead", "share", "fragment", "member", "sid", "n", "segment"]
     return run, "lead binary, share long, fragment int, member int, sid binary, n long, segment binary"
@@ -230,9 +252,9 @@ def overlaps(texts: DataFrame, pairs: DataFrame, k: int, fragments: int = FRAGME
     dealt = pairs.join(sizes, "b").select("a", "b", F.pmod(F.xxhash64("a"), F.col("shares")).alias("share"))
     members = dealt.select(F.col("a").alias("sid"), F.struct(F.col("b").alias("lead"), "share", F.lit(1).alias("member")).alias("role"))
     leaders = dealt.select(F.col("b").alias("sid"), F.struct(F.col("b").alias("lead"), "share", F.lit(0).alias("member")).alias("role")).distinct()
-    roles = members.union(leaders).groupBy("sid").agg(F.collect_list("role").alias("roles"))
+    roles = stage(members.union(leaders).groupBy("sid").agg(F.collect_list("role").alias("roles")), "roles")
     run, schema = _segments(k, fragments)
-    rows = texts.join(roles.hint("shuffle_hash"), "sid").select("sid", "text", "roles").mapInArrow(run, schema)
+    rows = texts.join(sized(roles, most=50_000), "sid").select("sid", "text", "roles").mapInArrow(run, schema)
     ordered = rows.repartition("lead", "share", "fragment").sortWithinPartitions("lead", "share", "fragment", "member")
     partial = ordered.mapInArrow(_partial, "a binary, b binary, na long, nb long, both long")
     return partial.groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.sum("both").alias("both"))
@@ -246,6 +268,67 @@ def _possible(percent: int):
     return (100 * F.least(n, n2) >= percent * F.greatest(n, n2)) & (most + F.least(F.col("place"), F.col("place2")) >= need)
 
 
+def _counted(pairs: DataFrame, percent: int, *key: str) -> DataFrame:
+    """Proposed pairs that share enough first n-grams; a row of ``pairs`` is a shared one.
+
+    All shared ones stand up to where the earlier-ending side's first n-grams end, so what
+    that side has there beyond them, and what the other has up to the last shared one, is
+    its own: the overlap is at most the count and the smaller rest.
+    """
+    n, n2 = F.col("n"), F.col("n2")
+
+    def rest(n, place, ends_first):
+        first = n - F.ceil(F.lit(percent) * n / F.lit(100)) + 1
+        return n - F.when(ends_first, first).otherwise(F.max(place) + 1)
+
+    most = F.count("*") + F.least(rest(n, "place", F.col("last") <= F.col("last2")), rest(n2, "place2", F.col("last2") <= F.col("last")))
+    need = F.ceil(F.lit(percent) * (n + n2) / F.lit(100 + percent))
+    told = pairs.groupBy(*key, "n", "n2", "last", "last2").agg(F.count("*").alias("c"), most.alias("most"), need.alias("need"))
+    return told.where("most >= need")
+
+
+def _leader_pairs(known: DataFrame, percent: int, turn: int) -> DataFrame:
+    """(a, b, hope): sets with leaders of their size band, or the next; hope is the n-grams shared.
+
+    In the first turn every set may lead its n-grams, later those of an n-gram's largest
+    component; a leader is the least by a hash that changes with the turn. There are no more
+    pairs than sets have first n-grams, however many sets share one.
+    """
+    band = F.floor(F.log(F.col("n").cast("double")) / F.lit(float(-np.log(percent / 100))))
+    rows = lead = known.withColumn("band", band)
+    if turn:
+        rows = rows.join(_majors(known), "gram")
+        lead, rows = rows.where("label = major"), rows.where("label <> major")
+    key = F.xxhash64(F.lit(turn), "sid")
+    lead = lead.groupBy("gram", "band").agg(F.min(F.struct(key.alias("k"), "sid", F.col("n").alias("n2"), F.col("place").alias("place2"), F.col("label").alias("label2"))).alias("lead"))
+    met = rows.withColumn("band", F.explode(F.array("band", F.col("band") - 1, F.col("band") + 1))).join(lead, ["gram", "band"])
+    met = met.select("sid", "n", "place", "label", F.col("lead.sid").alias("sid2"), "lead.n2", "lead.place2", "lead.label2").where("label <> label2").where(_possible(percent))
+    first = F.first("n") - F.ceil(F.lit(percent) * F.first("n") / F.lit(100)) + 1
+    told = met.groupBy(F.col("sid").alias("a"), F.col("sid2").alias("b")).agg(F.count("*").alias("hope"), first.alias("first"))
+    return told.where(F.col("hope") >= PROMISE * F.col("first"))
+
+
+def _majors(known: DataFrame) -> DataFrame:
+    """(gram, major): the largest component of every n-gram whose sets have several labels."""
+    per = known.groupBy("gram", "label").agg(F.count("*").alias("c"))
+    return per.groupBy("gram").agg(F.count("*").alias("labels"), F.max(F.struct("c", "label")).alias("m")).where("labels > 1").select("gram", F.col("m.label").alias("major"))
+
+
+def _every_pair(known: DataFrame, percent: int) -> DataFrame:
+    """(a, b, hope): every proposed pair with different labels; hope is by how much it may pass.
+
+    Of an n-gram's sets, those outside its largest component meet all with another label.
+    """
+    mixed = known.join(_majors(known), "gram")
+    left = mixed.where("label <> major").drop("major")
+    right = mixed.select("gram", *[F.col(c).alias(f"{c}2") for c in ("sid", "n", "place", "last", "label")], "major")
+    met = left.join(right, "gram").where("label <> label2 AND (label2 = major OR sid < sid2)").where(_possible(percent))
+    turned = F.col("sid") < F.col("sid2")
+    columns = ("sid", "n", "place", "last")
+    met = met.select(*[F.when(turned, F.col(f"{c}2")).otherwise(F.col(c)).alias(c) for c in columns], *[F.when(turned, F.col(c)).otherwise(F.col(f"{c}2")).alias(f"{c}2") for c in columns])
+    return _counted(met, percent, "sid", "sid2").select(F.col("sid").alias("a"), F.col("sid2").alias("b"), ((F.col("most") - F.col("need")) / (F.col("n") + F.col("n2"))).alias("hope"))
+
+
 def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     """doc_id, n_shingles, component_id for every row of ``docs`` (doc_id, text).
 
@@ -261,43 +344,53 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     spark = docs.sparkSession
     small_batches(spark)
     ids = docs.schema["doc_id"].dataType.simpleString()
-    told = stage(docs.mapInArrow(_describe(k, SKETCH), f"doc_id {ids}, n long, sid binary, sketch binary"), "sets")
+    docs = docs.withColumn("key", F.xxhash64(F.coalesce("text", F.lit(""))))  # ids may repeat with other texts
+    told = stage(docs.mapInArrow(_describe(k, SKETCH), f"doc_id {ids}, key long, n long, sid binary, sketch binary"), "sets")
     rows = told.where("sketch is null").drop("sketch")
     classes = spark.sparkContext.broadcast(frequency_classes(told.where("sketch is not null").select("sketch")))
     total = rows.agg(F.sum("n")).first()[0] or 0
     parts = max(1, -(-total * (100 - percent) // (100 * SHARE)))
     sent = docs.select("text").mapInArrow(_prefixes(k, percent, parts, classes), "p int, blob binary")
-    multi = stage(sent.repartition(parts, "p").mapInArrow(_shared, "gram long, sid binary, n long, place long"), "shared-grams")
+    multi = stage(sent.repartition(parts, "p").mapInArrow(_shared, "gram long, sid binary, n long, place long, last long"), "shared-grams")
 
     # Texts of the sets that share a first n-gram: one document each.
-    first = rows.where("n > 0").groupBy("sid").agg(F.min("doc_id").alias("doc_id"))
-    wanted = multi.select("sid").distinct().join(first, "sid")
-    texts = stage(docs.join(wanted.hint("shuffle_hash"), docs.doc_id.eqNullSafe(wanted.doc_id)).select("sid", "text").dropDuplicates(["sid"]), "set-texts")
+    first = rows.where("n > 0").groupBy("sid").agg(F.min(F.struct("doc_id", "key")).alias("one"))
+    wanted = stage(multi.select("sid").distinct().join(first, "sid").select("sid", F.col("one.doc_id").alias("of"), F.col("one.key").alias("key")), "wanted")
+    # The same id and text in several rows: any of them will do.
+    texts = docs.join(sized(wanted), (docs.key == wanted.key) & docs.doc_id.eqNullSafe(wanted.of)).select("sid", "text")
+    texts = stage(texts.dropDuplicates(["sid"]), "set-texts")
 
-    # Round one: each set with the leader, in its band of sizes or the next, that it shares most n-grams with.
-    band = F.floor(F.log(F.col("n").cast("double")) / F.lit(float(-np.log(percent / 100))))
-    banded = multi.withColumn("band", band)
-    leaders = banded.groupBy("gram", "band").agg(F.min(F.struct("sid", F.col("n").alias("n2"), F.col("place").alias("place2"))).alias("lead"))
-    met = banded.withColumn("band", F.explode(F.array("band", F.col("band") - 1))).join(leaders, ["gram", "band"]).select("sid", "n", "place", F.col("lead.sid").alias("lead"), "lead.n2", "lead.place2")
-    met = met.where("sid <> lead").where(_possible(percent)).groupBy("sid", "lead").agg(F.count("*").alias("c"))
-    best = met.groupBy("sid").agg(F.max(F.struct("c", "lead")).alias("m")).select(F.greatest("sid", "m.lead").alias("a"), F.least("sid", "m.lead").alias("b")).distinct()
     linked = F.expr(f"100 * both >= {percent} * (na + nb - both)")
-    counted = stage(overlaps(texts, best, k), "overlaps")
-    one = counted.where(linked).select("a", "b")
-    labels = stage(components(one), "labels")
-
-    # Round two: every other proposed pair across components.
-    known = multi.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    known = stage(known, "labelled-grams")
-    per = known.groupBy("gram", "label").agg(F.count("*").alias("c"))
-    major = per.groupBy("gram").agg(F.count("*").alias("labels"), F.max(F.struct("c", "label")).alias("m")).where("labels > 1").select("gram", F.col("m.label").alias("major"))
-    mixed = known.join(major, "gram")
-    left = mixed.where("label <> major")
-    right = mixed.select("gram", F.col("sid").alias("sid2"), F.col("n").alias("n2"), F.col("place").alias("place2"), F.col("label").alias("label2"), "major")
-    cross = left.drop("major").join(right, "gram").where("label <> label2 AND (label2 = major OR sid < sid2)").where(_possible(percent))
-    cross = cross.select(F.greatest("sid", "sid2").alias("a"), F.least("sid", "sid2").alias("b")).distinct().join(counted.select("a", "b"), ["a", "b"], "left_anti")
-    two = overlaps(texts, stage(cross, "cross-pairs"), k).where(linked).select("a", "b")
-    labels = components(one.union(two))
+    labels = multi.select(F.col("sid").alias("node"), F.col("sid").alias("label")).limit(0)
+    done = None
+    for turn in range(TURNS + 1):
+        if turn < 3:
+            known = multi.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
+            if turn:
+                known = stage(known, "labelled-grams")
+        if turn < 2:
+            pairs = _leader_pairs(known, percent, turn)
+        else:
+            if turn == 2:
+                proposed = stage(_every_pair(known, percent), "proposed")
+            of_a, of_b = labels.select(F.col("node").alias("a"), F.col("label").alias("la")), labels.select(F.col("node").alias("b"), F.col("label").alias("lb"))
+            pairs = proposed.join(of_a, "a", "left").join(of_b, "b", "left").where("la IS NULL OR lb IS NULL OR la <> lb").select("a", "b", "hope")
+        if done is not None:
+            pairs = pairs.join(done, ["a", "b"], "left_anti")
+        if turn < TURNS:  # each set keeps the few that promise most
+            best = [F.row_number().over(Window.partitionBy(x).orderBy(F.desc("hope"), y)) for x, y in (("a", "b"), ("b", "a"))]
+            pairs = pairs.withColumn("nth_a", best[0]).withColumn("nth_b", best[1] if turn > 1 else F.lit(LEADERS + 1)).where(F.least("nth_a", "nth_b") <= LEADERS)
+        pairs = stage(pairs.select("a", "b").distinct(), "pairs")
+        counted = stage(overlaps(texts, pairs, k).where(linked).select("a", "b"), "links")
+        done = pairs if done is None else done.unionByName(pairs)
+        # Join the components that the new links meet.
+        old = labels.select("node", "label")
+        of_a, of_b = old.select(F.col("node").alias("a"), F.col("label").alias("la")), old.select(F.col("node").alias("b"), F.col("label").alias("lb"))
+        meet = counted.join(of_a, "a", "left").join(of_b, "b", "left").select(F.coalesce("la", "a").alias("u"), F.coalesce("lb", "b").alias("v"))
+        joined = stage(components(meet), "joined")
+        moved = old.join(joined.select(F.col("node").alias("label"), F.col("label").alias("to")), "label", "left").select("node", F.coalesce("to", "label").alias("label"))
+        fresh = joined.join(old.select("node"), "node", "left_anti").select("node", "label")
+        labels = stage(moved.unionByName(fresh), "labels")
 
     members = rows.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
     members = stage(members.select("doc_id", "n", "label"), "members")
