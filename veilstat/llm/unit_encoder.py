@@ -207,6 +207,8 @@ class UnitEncoder:
 
     def _shrink(self) -> None:
         table = self._merged(self.tables[0], self.tables[1])
+        if not len(table[0]):
+            return
         keep = table[2] <= np.partition(table[2], len(table[2]) // 2)[len(table[2]) // 2]
         self.tables[0] = tuple(x[keep] for x in table)
         self.tables[1] = tuple(x[:0] for x in table)
