@@ -53,16 +53,24 @@ def stage(df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(path)
     finally:
         spark.conf.set(_CLEANUP, before)
-    _staged.append(path)
+    _staged.append(path.removeprefix("file://"))
     return spark.read.schema(df.schema).parquet(path)
 
 
-def drop_staged(spark: SparkSession, keep: int = 0) -> None:
-    """Delete tables that :func:`stage` wrote, once no result that reads them is needed."""
+def staged_tables() -> int:
+    """How many tables are staged just now; a mark for :func:`drop_staged`."""
+    return len(_staged)
+
+
+def drop_staged(spark: SparkSession, mark: int = 0, keep: DataFrame | None = None) -> None:
+    """Delete the tables staged since ``mark``, but for the one that ``keep`` reads."""
+    kept = [p for p in _staged[mark:] if keep is not None and any(p in f for f in keep.inputFiles())]
     hadoop = spark._jvm.org.apache.hadoop.fs
-    while len(_staged) > keep:
-        path = hadoop.Path(_staged.pop())
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    for name in _staged[mark:]:
+        if name not in kept:
+            path = hadoop.Path(name)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    _staged[mark:] = kept
 
 
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:

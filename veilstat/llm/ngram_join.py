@@ -26,7 +26,7 @@ import zstandard
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import only, sized, small_batches, stage, text_slices
+from .common import drop_staged, only, sized, small_batches, stage, staged_tables, text_slices
 from .components import components
 from .packed import squeeze, unsqueeze
 from .textkernel import grams, mix, stream, words
@@ -230,7 +230,7 @@ def _partial(batches):
     key, lead, n_lead = None, np.zeros(0, np.uint64), 0
     for batch in batches:
         cols = [c.to_pylist() for c in batch.columns]
-        out: list[list] = [[] for _ in range(5)]
+        out: list[list] = [[] for _ in range(6)]
         for b, share, fragment, member, sid, n, raw in zip(*cols, strict=True):
             own = np.frombuffer(raw, np.uint64)
             if not member:
@@ -241,9 +241,9 @@ def _partial(batches):
             at = np.searchsorted(lead, own)
             at[at == len(lead)] = 0
             both = int((lead[at] == own).sum()) if len(lead) else 0
-            for c, x in zip(out, (sid, b, n, n_lead, both), strict=True):
+            for c, x in zip(out, (sid, b, fragment, n, n_lead, both), strict=True):
                 c.append(x)
-        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.binary(), pa.binary(), pa.int64(), pa.int64(), pa.int64()), strict=True)], ["a", "b", "na", "nb", "both"])
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(out, (pa.binary(), pa.binary(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], ["a", "b", "fragment", "na", "nb", "both"])
 
 
 def overlaps(texts: DataFrame, pairs: DataFrame, k: int, fragments: int = FRAGMENTS) -> DataFrame:
@@ -254,37 +254,58 @@ def overlaps(texts: DataFrame, pairs: DataFrame, k: int, fragments: int = FRAGME
     leaders = dealt.select(F.col("b").alias("sid"), F.struct(F.col("b").alias("lead"), "share", F.lit(0).alias("member")).alias("role")).distinct()
     roles = stage(members.union(leaders).groupBy("sid").agg(F.collect_list("role").alias("roles")), "roles")
     run, schema = _segments(k, fragments)
-    rows = texts.join(sized(roles, most=50_000), "sid").select("sid", "text", "roles").mapInArrow(run, schema)
+    rows = texts.join(sized(roles), "sid").select("sid", "text", "roles").mapInArrow(run, schema)
     ordered = rows.repartition("lead", "share", "fragment").sortWithinPartitions("lead", "share", "fragment", "member")
-    partial = ordered.mapInArrow(_partial, "a binary, b binary, na long, nb long, both long")
+    partial = ordered.mapInArrow(_partial, "a binary, b binary, fragment int, na long, nb long, both long")
+    partial = partial.groupBy("a", "b", "fragment").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.max("both").alias("both"))
     return partial.groupBy("a", "b").agg(F.first("na").alias("na"), F.first("nb").alias("nb"), F.sum("both").alias("both"))
 
 
+def _least_of(n, percent: int):
+    return F.ceil(F.lit(percent) * n / F.lit(100))
+
+
+def _need(percent: int):
+    """Overlap that sets of n and n2 need."""
+    return F.ceil(F.lit(percent) * (F.col("n") + F.col("n2")) / F.lit(100 + percent))
+
+
 def _possible(percent: int):
     """Size and place filters of a proposed pair (columns n, place and n2, place2)."""
     n, n2 = F.col("n"), F.col("n2")
-    need = F.ceil(F.lit(percent) * (n + n2) / F.lit(100 + percent))
     most = F.least(n - F.col("place"), n2 - F.col("place2"))
-    return (100 * F.least(n, n2) >= percent * F.greatest(n, n2)) & (most + F.least(F.col("place"), F.col("place2")) >= need)
+    return (100 * F.least(n, n2) >= percent * F.greatest(n, n2)) & (most + F.least(F.col("place"), F.col("place2")) >= _need(percent))
 
 
-def _counted(pairs: DataFrame, percent: int, *key: str) -> DataFrame:
-    """Proposed pairs that share enough first n-grams; a row of ``pairs`` is a shared one.
+def _may_be_first(percent: int):
+    """Whether a shared n-gram may be the pair's first one.
 
-    All shared ones stand up to where the earlier-ending side's first n-grams end, so what
-    that side has there beyond them, and what the other has up to the last shared one, is
-    its own: the overlap is at most the count and the smaller rest.
+    With overlap o, the j-th common n-gram stands at most n - o places later in either order,
+    so o + 1 - max(L) first n-grams at least are common (a set has n - L + 1 of them, L =
+    ceil(percent * n / 100)), and the first of them stands that many before the end.
     """
     n, n2 = F.col("n"), F.col("n2")
+    common = F.greatest(F.lit(1), _need(percent) + 1 - _least_of(F.greatest("n", "n2"), percent))
+    return (F.col("place") <= n - _least_of(n, percent) + 1 - common) & (F.col("place2") <= n2 - _least_of(n2, percent) + 1 - common)
+
 
-    def rest(n, place, ends_first):
-        first = n - F.ceil(F.lit(percent) * n / F.lit(100)) + 1
-        return n - F.when(ends_first, first).otherwise(F.max(place) + 1)
+def _counted(pairs: DataFrame, known: DataFrame, percent: int) -> DataFrame:
+    """Pairs (sid, sid2) that share enough first n-grams, with ``most``, a bound of their overlap, and ``need``.
 
-    most = F.count("*") + F.least(rest(n, "place", F.col("last") <= F.col("last2")), rest(n2, "place2", F.col("last2") <= F.col("last")))
-    need = F.ceil(F.lit(percent) * (n + n2) / F.lit(100 + percent))
-    told = pairs.groupBy(*key, "n", "n2", "last", "last2").agg(F.count("*").alias("c"), most.alias("most"), need.alias("need"))
-    return told.where("most >= need")
+    All shared ones stand up to where the earlier-ending side's first n-grams end, so the
+    overlap is at most their number and what either side has beyond: of the side that ends
+    first all but its first n-grams, of the other all but the shared ones.
+    """
+    own = known.groupBy("sid", "n", "last").agg(F.collect_list("gram").alias("grams"))
+    a, b = own, own.select(*[F.col(c).alias(f"{c}2") for c in own.columns])
+    told = pairs.join(a, "sid").join(b, "sid2").withColumn("c", F.size(F.array_intersect("grams", "grams2"))).drop("grams", "grams2")
+
+    def rest(n, ends_first):
+        return n - F.when(ends_first, n - _least_of(n, percent) + 1).otherwise(F.col("c"))
+
+    n, n2 = F.col("n"), F.col("n2")
+    most = F.col("c") + F.least(rest(n, F.col("last") <= F.col("last2")), rest(n2, F.col("last2") <= F.col("last")))
+    return told.withColumn("most", most).withColumn("need", _need(percent)).where("most >= need")
 
 
 def _leader_pairs(known: DataFrame, percent: int, turn: int) -> DataFrame:
@@ -297,8 +318,10 @@ def _leader_pairs(known: DataFrame, percent: int, turn: int) -> DataFrame:
     band = F.floor(F.log(F.col("n").cast("double")) / F.lit(float(-np.log(percent / 100))))
     rows = lead = known.withColumn("band", band)
     if turn:
-        rows = rows.join(_majors(known), "gram")
-        lead, rows = rows.where("label = major"), rows.where("label <> major")
+        majors = _majors(known)
+        first = F.col("n") - _least_of(F.col("n"), percent) + 1
+        lead = rows.join(majors, "gram").where("label = major")
+        rows = rows.where(F.col("place") < 0.6 * first).join(majors, "gram").where("label <> major")  # the rarest tell most
     key = F.xxhash64(F.lit(turn), "sid")
     lead = lead.groupBy("gram", "band").agg(F.min(F.struct(key.alias("k"), "sid", F.col("n").alias("n2"), F.col("place").alias("place2"), F.col("label").alias("label2"))).alias("lead"))
     met = rows.withColumn("band", F.explode(F.array("band", F.col("band") - 1, F.col("band") + 1))).join(lead, ["gram", "band"])
@@ -322,11 +345,10 @@ def _every_pair(known: DataFrame, percent: int) -> DataFrame:
     mixed = known.join(_majors(known), "gram")
     left = mixed.where("label <> major").drop("major")
     right = mixed.select("gram", *[F.col(c).alias(f"{c}2") for c in ("sid", "n", "place", "last", "label")], "major")
-    met = left.join(right, "gram").where("label <> label2 AND (label2 = major OR sid < sid2)").where(_possible(percent))
-    turned = F.col("sid") < F.col("sid2")
-    columns = ("sid", "n", "place", "last")
-    met = met.select(*[F.when(turned, F.col(f"{c}2")).otherwise(F.col(c)).alias(c) for c in columns], *[F.when(turned, F.col(c)).otherwise(F.col(f"{c}2")).alias(f"{c}2") for c in columns])
-    return _counted(met, percent, "sid", "sid2").select(F.col("sid").alias("a"), F.col("sid2").alias("b"), ((F.col("most") - F.col("need")) / (F.col("n") + F.col("n2"))).alias("hope"))
+    met = left.join(right, "gram").where("label <> label2 AND (label2 = major OR sid < sid2)").where(_possible(percent)).where(_may_be_first(percent))
+    pairs = met.select(F.greatest("sid", "sid2").alias("sid"), F.least("sid", "sid2").alias("sid2")).distinct()
+    hope = (F.col("most") - F.col("need")) / (F.col("n") + F.col("n2"))
+    return _counted(pairs, known, percent).select(F.col("sid").alias("a"), F.col("sid2").alias("b"), hope.alias("hope"))
 
 
 def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
@@ -343,6 +365,7 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     docs = only(docs, "doc_id", "text")
     spark = docs.sparkSession
     small_batches(spark)
+    held = staged_tables()
     ids = docs.schema["doc_id"].dataType.simpleString()
     docs = docs.withColumn("key", F.xxhash64(F.coalesce("text", F.lit(""))))  # ids may repeat with other texts
     told = stage(docs.mapInArrow(_describe(k, SKETCH), f"doc_id {ids}, key long, n long, sid binary, sketch binary"), "sets")
@@ -356,9 +379,8 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     # Texts of the sets that share a first n-gram: one document each.
     first = rows.where("n > 0").groupBy("sid").agg(F.min(F.struct("doc_id", "key")).alias("one"))
     wanted = stage(multi.select("sid").distinct().join(first, "sid").select("sid", F.col("one.doc_id").alias("of"), F.col("one.key").alias("key")), "wanted")
-    # The same id and text in several rows: any of them will do.
-    texts = docs.join(sized(wanted), (docs.key == wanted.key) & docs.doc_id.eqNullSafe(wanted.of)).select("sid", "text")
-    texts = stage(texts.dropDuplicates(["sid"]), "set-texts")
+    # An id and text in several rows gives a text several times; partial counts are told once.
+    texts = stage(docs.join(sized(wanted), (docs.key == wanted.key) & docs.doc_id.eqNullSafe(wanted.of)).select("sid", "text"), "set-texts")
 
     linked = F.expr(f"100 * both >= {percent} * (na + nb - both)")
     labels = multi.select(F.col("sid").alias("node"), F.col("sid").alias("label")).limit(0)
@@ -377,6 +399,8 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
             pairs = proposed.join(of_a, "a", "left").join(of_b, "b", "left").where("la IS NULL OR lb IS NULL OR la <> lb").select("a", "b", "hope")
         if done is not None:
             pairs = pairs.join(done, ["a", "b"], "left_anti")
+        if turn > 1:
+            pairs = proposed = stage(pairs, "proposed")  # the next turn starts from what is left
         if turn < TURNS:  # each set keeps the few that promise most
             best = [F.row_number().over(Window.partitionBy(x).orderBy(F.desc("hope"), y)) for x, y in (("a", "b"), ("b", "a"))]
             pairs = pairs.withColumn("nth_a", best[0]).withColumn("nth_b", best[1] if turn > 1 else F.lit(LEADERS + 1)).where(F.least("nth_a", "nth_b") <= LEADERS)
@@ -394,5 +418,6 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
 
     members = rows.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
     members = stage(members.select("doc_id", "n", "label"), "members")
+    drop_staged(spark, held, keep=members)
     lowest = members.where("n > 0").groupBy("label").agg(F.min("doc_id").alias("low"))
     return members.join(lowest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("low")).otherwise(F.col("doc_id")).alias("component_id"))
