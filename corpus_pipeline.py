@@ -6,12 +6,12 @@ but the last return the columns of ``documents``; the last returns the packed pi
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from veilstat.llm.common import read_table, sized, stage
-from veilstat.llm.exact_dedup import exact_groups
-from veilstat.llm.ngram_join import ngram_groups
+from veilstat.llm.exact_dedup import exact_groups, normalised
+from veilstat.llm.ngram_join import ngram_rows, text_key
 from veilstat.llm.packing import pack_documents
 from veilstat.llm.pii import mask_pii
 from veilstat.llm.quality import fit_model, keep_quality
@@ -25,18 +25,42 @@ def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return keep_quality(docs, fit_model(docs, read_table(spark, sf_dir, "labels")))
 
 
+def keep_rows(docs: DataFrame, mark: Column, told: DataFrame) -> DataFrame:
+    """Rows of ``docs`` that ``told`` (doc_id, mark, stays, copies) keeps, one of those that share id and mark.
+
+    ``mark`` is the text fingerprint of a row. ``told`` has one row for each id and mark that
+    goes or that several rows share; null ids match each other. Of rows that share both, the
+    least by all columns stays.
+    """
+    told = stage(told.where("NOT stays OR copies > 1").select(F.col("doc_id").alias("_id"), F.col("mark").alias("_told"), "stays"), "told")
+    marked = docs.withColumn("_mark", mark)
+    same = marked.doc_id.eqNullSafe(F.col("_id")) & (F.col("_mark") == F.col("_told"))
+    out = marked.join(sized(told, None), same, "left_anti").select(*docs.columns)
+    repeats = told.where("stays")
+    if not repeats.isEmpty():
+        row = F.struct(*docs.columns)
+        least = marked.join(sized(repeats, None), same).groupBy("_id", "_told").agg(F.min(row).alias("row"))
+        out = out.unionByName(least.select("row.*"))
+    return out
+
+
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, that of the smallest id, of each group of equal texts."""
+    """One row, the first of the smallest id (nulls last), of each group of equal texts."""
     groups = exact_groups(docs)
-    dropped = stage(groups.where(~F.col("kept")).select("doc_id"), "dropped")
-    return docs.join(sized(dropped, None), "doc_id", "left_anti").select(*docs.columns)
+    told = groups.groupBy("doc_id", F.col("text_sha256").alias("mark")).agg(F.bool_and("kept").alias("stays"), F.count("*").alias("copies"))
+    return keep_rows(docs, F.sha2(normalised(F.col("text")), 256), told)
 
 
 def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, that of the smallest id, of each group linked by near copies."""
-    groups = ngram_groups(docs, NEAR_WORDS, NEAR_PERCENT)
-    dropped = stage(groups.where("doc_id <> component_id").select("doc_id"), "dropped")
-    return docs.join(sized(dropped, None), "doc_id", "left_anti").select(*docs.columns)
+    """One row, the first of the smallest id (nulls last), of each group linked by near copies.
+
+    Blank texts link with nothing and stay.
+    """
+    rows = ngram_rows(docs, NEAR_WORDS, NEAR_PERCENT).where("n > 0").groupBy("label", "doc_id", "key").agg(F.count("*").alias("copies"))
+    rows = stage(rows.withColumn("place", F.struct(F.isnull("doc_id").alias("late"), "doc_id", "key")), "near-rows")
+    first = rows.groupBy("label").agg(F.min("place").alias("first"))
+    told = rows.join(first, "label").select("doc_id", F.col("key").alias("mark"), F.col("place").eqNullSafe(F.col("first")).alias("stays"), "copies")
+    return keep_rows(docs, text_key(F.col("text")), told)
 
 
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

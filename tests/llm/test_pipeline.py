@@ -69,3 +69,28 @@ def test_run_equals_stages(spark):
         docs = stage(spark, docs, SF).cache()
     b = docs.select("doc_id", "piece", "length", "ids_crc32").collect()
     assert sorted(map(tuple, a)) == sorted(map(tuple, b))
+
+
+def test_stages_decide_by_row(spark):
+    """Null, repeated and clashing ids: one row of each group stays, and no row goes for another's text."""
+    far = " ".join(f"other{i}" for i in range(60))
+    near = [f"word{i}" for i in range(60)]
+    a, a2, a3 = (" ".join([*near[:59], x]) for x in ("x", "y", "z"))
+    shape = "doc_id long, text string, lang string"
+
+    def kept(stage, rows):
+        got = stage(spark, spark.createDataFrame(rows, shape), SF)
+        assert got.columns == ["doc_id", "text", "lang"]
+        return sorted(map(tuple, got.collect()), key=str)
+
+    def same(got, want):
+        assert got == sorted(want, key=str)
+
+    same(kept(C.exact_stage, [(1, "b", "fr"), (1, "b", "en"), (2, "a", "en"), (2, "b", "en"), (None, "b", "en"), (None, "c d", "en"), (None, "c  d", "en"), (5, None, "en"), (6, "", "en")]), [(1, "b", "en"), (2, "a", "en"), (None, "c  d", "en"), (5, None, "en")])
+
+    b, b2 = a.replace("word", "term"), a2.replace("word", "term")
+    rows = [(1, a, "en"), (1, a2, "en"), (1, a2, "fr"), (9, a3, "en"), (None, a2, "en"), (9, far, "en"), (None, b, "en"), (None, b2, "en"), (None, b2, "fr"), (8, None, "en"), (None, "", "en")]
+    got = kept(C.near_stage, rows)
+    assert set(got) <= set(rows) and len(got) == 5
+    assert [r[0] for r in got if r[1] in (a, a2, a3)] == [1] and [r[0] for r in got if r[1] in (b, b2)] == [None]
+    assert {(9, far, "en"), (8, None, "en"), (None, "", "en")} < set(got)

@@ -23,7 +23,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import drop_staged, only, sized, small_batches, stage, staged_tables, text_slices
@@ -362,12 +362,27 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
     are documents of their own under that id. An empty table gives an empty result; other
     columns are ignored.
     """
+    members = ngram_rows(docs, k, percent)
+    lowest = members.where("n > 0").groupBy("label").agg(F.min("doc_id").alias("low"))
+    return members.join(lowest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("low")).otherwise(F.col("doc_id")).alias("component_id"))
+
+
+def text_key(text: Column) -> Column:
+    """Hash that tells the texts of one id apart; null counts as empty."""
+    return F.xxhash64(F.coalesce(text, F.lit("")))
+
+
+def ngram_rows(docs: DataFrame, k: int, percent: int) -> DataFrame:
+    """doc_id, key, n, label for every row of ``docs``: the text's key, the size of its set, and its component.
+
+    Labels are of sets, so rows under one id with texts of different components differ by them.
+    """
     docs = only(docs, "doc_id", "text")
     spark = docs.sparkSession
     small_batches(spark)
     held = staged_tables()
     ids = docs.schema["doc_id"].dataType.simpleString()
-    docs = docs.withColumn("key", F.xxhash64(F.coalesce("text", F.lit(""))))  # ids may repeat with other texts
+    docs = docs.withColumn("key", text_key(F.col("text")))  # ids may repeat with other texts
     told = stage(docs.mapInArrow(_describe(k, SKETCH), f"doc_id {ids}, key long, n long, sid binary, sketch binary"), "sets")
     rows = told.where("sketch is null").drop("sketch")
     classes = spark.sparkContext.broadcast(frequency_classes(told.where("sketch is not null").select("sketch")))
@@ -417,7 +432,6 @@ def ngram_groups(docs: DataFrame, k: int = 3, percent: int = 90) -> DataFrame:
         labels = stage(moved.unionByName(fresh), "labels")
 
     members = rows.join(labels.withColumnRenamed("node", "sid"), "sid", "left").withColumn("label", F.coalesce("label", "sid"))
-    members = stage(members.select("doc_id", "n", "label"), "members")
+    members = stage(members.select("doc_id", "key", "n", "label"), "members")
     drop_staged(spark, held, keep=members)
-    lowest = members.where("n > 0").groupBy("label").agg(F.min("doc_id").alias("low"))
-    return members.join(lowest, "label", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.col("low")).otherwise(F.col("doc_id")).alias("component_id"))
+    return members
