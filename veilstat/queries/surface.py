@@ -14,12 +14,12 @@ from .sqltext import coin, counts, h, tidy
 from .structure import STAR_SQL, V, base_sql, order_vectors, tree_sql
 
 
-@query("sql_lambda", f"SELECT o_orderkey, {tidy(coin('pub', 'k', 'o_orderkey') + ' - (exp(1.0) - 1) / (2 + exp(1.0) - 1)')} AS over_rate FROM orders WHERE o_orderkey % 7 = 0")
+@query("sql_lambda", f"SELECT o_orderkey, {tidy(coin('pub', 'k', 'o_orderkey') + ' - (exp(1.0) - 1) / (2 + exp(1.0) - 1)')} AS over_rate FROM orders")
 def sql_lambda(spark, d):
     """SQL functions that Catalyst inlines."""
     U.register_all(spark)
     register_views(spark, d, "orders")
-    return spark.sql("SELECT o_orderkey, round(coin('pub', 'k', CAST(o_orderkey AS STRING)) - keep_rate(1D, 1), 6) + 0D AS over_rate FROM orders WHERE o_orderkey % 7 = 0")
+    return spark.sql("SELECT o_orderkey, round(coin('pub', 'k', CAST(o_orderkey AS STRING)) - keep_rate(1D, 1), 6) + 0D AS over_rate FROM orders")
 
 
 @query("udf_hadamard_inverse", "WITH c AS (SELECT " + ", ".join(f"count(*) FILTER (WHERE l_linenumber = {k})::DOUBLE AS n{k}" for k in range(1, 9)) + " FROM lineitem) SELECT " + ", ".join(f"n{k} AS n{k}" for k in range(1, 9)) + " FROM c")
