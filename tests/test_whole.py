@@ -17,3 +17,15 @@ def table(spark, name):
 
 def test_sql_lambda_all_orders(spark):
     assert {r["o_orderkey"] for r in rows(spark, "sql_lambda")} == {r[0] for r in table(spark, "orders").select("o_orderkey").collect()}
+
+
+def test_edges_all_nations(spark):
+    seen = {r[0] for r in table(spark, "customer").select("c_nationkey").distinct().collect()}
+    n = len(seen)
+    for name in ("sort_edges", "win_rank_edges"):
+        got = {(r["i"], r["j"]) for r in rows(spark, name)}
+        assert len(got) == n * (n - 1) // 2 and {x for e in got for x in e} == seen
+    assert {r["v"] for r in rows(spark, "strongest_partner")} == seen
+    assert {r["i"] for r in rows(spark, "topk_per_group")} == seen - {max(seen)}
+    mi = {(r["i"], r["j"]): r["mi"] for r in rows(spark, "sort_edges")}
+    assert [(r["i"], r["j"]) for r in rows(spark, "topk_neighbors")] == sorted(mi, key=lambda e: (-mi[e], e))[1:6]
