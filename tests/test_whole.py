@@ -29,3 +29,25 @@ def test_edges_all_nations(spark):
     assert {r["i"] for r in rows(spark, "topk_per_group")} == seen - {max(seen)}
     mi = {(r["i"], r["j"]): r["mi"] for r in rows(spark, "sort_edges")}
     assert [(r["i"], r["j"]) for r in rows(spark, "topk_neighbors")] == sorted(mi, key=lambda e: (-mi[e], e))[1:6]
+
+
+def test_sign_bits_all_components(spark):
+    import numpy as np
+
+    vecs = {r["vec_id"]: np.array(r["embedding"]) > 0 for r in table(spark, "embeddings").collect()}
+    x = np.array(list(vecs.values()))
+    n, d = x.shape
+    assert d == 64
+
+    def h(*p):
+        return -sum(v * np.log(v) for v in p if v > 0)
+
+    mi = []
+    for i in range(d):
+        for j in range(i + 1, d):
+            both = np.bincount(2 * x[:, i] + x[:, j], minlength=4) / n
+            mi.append(h(*np.bincount(x[:, i], minlength=2) / n) + h(*np.bincount(x[:, j], minlength=2) / n) - h(*both))
+    got = rows(spark, "natural_sign_bits")[0]
+    assert abs(got["strongest"] - max(mi)) < 2e-6 and abs(got["total"] - sum(mi)) < 2e-6
+    for r in rows(spark, "pack_bits"):
+        assert r["word"] % (1 << 64) == sum(1 << i for i in range(64) if vecs[r["vec_id"]][i])

@@ -95,10 +95,12 @@ def encode_attributes(spark, d):
     return o.select("o_orderkey", domains.Categorical(("1-URGENT", "2-HIGH")).code(F.col("o_orderpriority")).alias("priority"), domains.Binned((100000, 200000)).code(F.col("o_totalprice")).alias("price"), domains.Calendar("month").code(F.col("o_orderdate")).alias("month"))
 
 
-@query("pack_bits", "SELECT vec_id, CAST(" + " + ".join(f"(CASE WHEN embedding[{i + 1}] > 0 THEN {1 << i} ELSE 0 END)" for i in range(16)) + " AS BIGINT) AS word FROM embeddings")
+@query("pack_bits", "SELECT vec_id, CAST(" + " + ".join(f"(CASE WHEN embedding[{i + 1}] > 0 THEN {(1 << i) - (1 << 64) * (i == 63)}::HUGEINT ELSE 0 END)" for i in range(64)) + " AS BIGINT) AS word FROM embeddings")
 def pack_bits(spark, d):
-    """Binary variables as bits of a word."""
-    word = sum((F.shiftleft(domains.Sign().code(F.col("embedding")[i]).cast("long"), i) for i in range(16)), F.lit(0).cast("long"))
+    """Binary variables as bits of a word: all 64, the last in the sign."""
+    word = F.lit(0).cast("long")
+    for i in range(64):
+        word = word.bitwiseOR(F.shiftleft(domains.Sign().code(F.col("embedding")[i]).cast("long"), i))
     return load(spark, d, "embeddings", "vec_id", "embedding").select("vec_id", word.alias("word"))
 
 

@@ -14,6 +14,7 @@ from ..operators.protocol import UserPool
 from ..operators.small_support import ExactSource, PrivateSource
 from ..registry import query
 from ..sources.tables import line_users, load
+from ..udf import pair_blocks
 from .measures import mi_sql
 from .sqltext import coin, counts, h, tidy
 
@@ -285,11 +286,21 @@ def edge_recovery(spark, d):
     return parts[0].crossJoin(parts[1]).crossJoin(parts[2])
 
 
-@query("natural_sign_bits", "WITH e AS (SELECT vec_id, embedding FROM embeddings), s AS (SELECT " + ", ".join(f"CAST(embedding[{i + 1}] > 0 AS INT) AS v{i}" for i in range(8)) + f" FROM e), {mi_sql('s', [f'v{i}' for i in range(8)])} SELECT {tidy('max(mi)')} AS strongest, {tidy('sum(mi)')} AS total FROM edges")
+_SIGN_BITS = f"""WITH s AS (SELECT vec_id, unnest(range(len(embedding))) AS k, unnest(list_transform(embedding, lambda v: CAST(v > 0 AS INT))) AS x FROM embeddings),
+    c AS (SELECT s.k AS i, t.k AS j, s.x AS a, t.x AS b, CAST(count(*) AS DOUBLE) AS n FROM s JOIN s AS t ON s.vec_id = t.vec_id AND s.k < t.k GROUP BY ALL),
+    f AS (SELECT i, j, {h()} AS hab FROM c GROUP BY i, j),
+    fa AS (SELECT i, j, {h()} AS ha FROM (SELECT i, j, a, sum(n) AS n FROM c GROUP BY ALL) GROUP BY i, j),
+    fb AS (SELECT i, j, {h()} AS hb FROM (SELECT i, j, b, sum(n) AS n FROM c GROUP BY ALL) GROUP BY i, j)
+    SELECT {tidy('max(ha + hb - hab)')} AS strongest, {tidy('sum(ha + hb - hab)')} AS total FROM f JOIN fa USING (i, j) JOIN fb USING (i, j)"""
+
+
+@query("natural_sign_bits", _SIGN_BITS)
 def natural_sign_bits(spark, d):
-    """Sign bits of embeddings: nearly independent."""
-    df = load(spark, d, "embeddings", "embedding").select(*[F.when(F.col("embedding")[i] > 0, 1).otherwise(0).alias(f"v{i}") for i in range(8)])
-    return M.mi_matrix(df, [f"v{i}" for i in range(8)]).agg(tidy_col(F.max("mi")).alias("strongest"), tidy_col(F.sum("mi")).alias("total"))
+    """Sign bits of all components of embeddings: nearly independent."""
+    e = load(spark, d, "embeddings", "embedding")
+    bits = [f"v{i}" for i in range(e.agg(F.max(F.size("embedding"))).first()[0] or 0)]
+    df = e.select(*[F.when(F.get("embedding", F.lit(i)) > 0, 1).otherwise(0).alias(v) for i, v in enumerate(bits)])
+    return M.mi_from_cells(pair_blocks(df, bits, 2)).agg(tidy_col(F.max("mi")).alias("strongest"), tidy_col(F.sum("mi")).alias("total"))
 
 
 _CAL = "SELECT CAST(month(l_shipdate) AS INT) AS m, CAST(quarter(l_shipdate) AS INT) AS q, l_linestatus AS s FROM lineitem"
