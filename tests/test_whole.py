@@ -51,3 +51,23 @@ def test_sign_bits_all_components(spark):
     assert abs(got["strongest"] - max(mi)) < 2e-6 and abs(got["total"] - sum(mi)) < 2e-6
     for r in rows(spark, "pack_bits"):
         assert r["word"] % (1 << 64) == sum(1 << i for i in range(64) if vecs[r["vec_id"]][i])
+
+
+def test_pair_counts_are_run(spark):
+    """Counts and slopes equal runs of the methods, one by one."""
+    import numpy as np
+
+    from veilstat.operators import structure as T
+    from veilstat.operators import workloads as W
+    from veilstat.queries import baselines as B
+
+    def count(n, r):
+        src = W.ClosedForm(W.random_tree(n, "42"))
+        T.tree_entropy(src, n, 2, 0.5, 0.1, seed=f"rep{r}")
+        return src.pairs  # questions that reached the source
+
+    sizes, reps = (12, 30, 60), 3
+    want = {(n, r): count(n, r) for n in sizes for r in range(reps)}
+    assert {(x["d"], x["rep"]): x["pairs"] for x in B.pair_counts(spark, sizes, reps).collect()} == want
+    curve = {x["d"]: x["reps"] for x in rows(spark, "cost_pairs_curve")}
+    assert curve == dict.fromkeys((10, 20, 50, 100, 200, 400), 100)

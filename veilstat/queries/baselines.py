@@ -42,18 +42,35 @@ def two_stage_gini(spark, d):
     return spark.createDataFrame([(round(B.two_stage_gini(coded(spark, d), "user_id", "x", 3, ALPHA), 6),)], "gini double")
 
 
+#: Repetitions of the tree method at every size.
+REPS = 100
+
+
+def pair_counts(spark, sizes, reps: int = REPS):
+    """(d, rep, pairs) of the tree method on random trees with closed-form informations; repetitions are dealt over tasks."""
+    trees = {n: W.random_tree(n, "42") for n in sizes}
+
+    def run(batches):
+        src = {}
+        for batch in batches:
+            got = []
+            for n, r in zip(batch["d"], batch["rep"], strict=True):
+                if n not in src:
+                    src = {n: W.ClosedForm(trees[n])}  # one size at a time
+                got.append(T.tree_entropy(src[n], n, 2, 0.5, 0.1, seed=f"rep{r}").pairs)
+            yield batch.assign(pairs=got)
+
+    asked = [(n, r) for n in sizes for r in range(reps)]
+    tasks = spark.sparkContext.parallelize(sorted(asked, key=lambda x: (x[1] % 16, x)), 16)
+    return spark.createDataFrame(tasks, "d int, rep int").mapInPandas(run, "d int, rep int, pairs long")
+
+
 @query("cost_pairs_curve")
 def cost_pairs_curve(spark, d):
     """Pair estimates by size, mean over repetitions, on random trees with closed-form informations."""
-    rows = []
-    for n, reps in ((20, 10), (50, 10), (100, 6), (200, 2)):
-        tree = W.random_tree(n, "42")
-        got = []
-        for r in range(reps):
-            src = W.ClosedForm(tree)
-            got.append(T.tree_entropy(src, n, 2, 0.5, 0.1, seed=f"rep{r}").pairs)
-        rows.append((n, reps, sum(got) / reps, float(n * n), float(n * (n - 1) // 2)))
-    return spark.createDataFrame(rows, "d int, reps int, pairs_mean double, pairs_ordered double, pairs_distinct double")
+    n = F.col("d").cast("double")
+    mean = pair_counts(spark, (10, 20, 50, 100, 200, 400)).groupBy("d").agg(F.count("*").cast("int").alias("reps"), F.avg("pairs").alias("pairs_mean"))
+    return mean.select("d", "reps", "pairs_mean", (n * n).alias("pairs_ordered"), (n * (n - 1) / 2).alias("pairs_distinct"))
 
 
 @query("cost_slope", "WITH t(d, tree, every) AS (VALUES (50, 848, 2500), (100, 2210, 10000), (200, 5313, 40000), (400, 11016, 160000), (800, 23073, 640000)) SELECT round(regr_slope(ln(tree), ln(d)), 6) + 0.0 AS tree_slope, round(regr_slope(ln(every), ln(d)), 6) + 0.0 AS all_slope FROM t")
