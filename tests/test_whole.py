@@ -69,5 +69,9 @@ def test_pair_counts_are_run(spark):
     sizes, reps = (12, 30, 60), 3
     want = {(n, r): count(n, r) for n in sizes for r in range(reps)}
     assert {(x["d"], x["rep"]): x["pairs"] for x in B.pair_counts(spark, sizes, reps).collect()} == want
+    got = B.slopes(spark, sizes, reps).first()
+    means = [sum(want[n, r] for r in range(reps)) / reps for n in sizes]
+    assert abs(got["tree_slope"] - np.polyfit(np.log(sizes), np.log(means), 1)[0]) < 2e-6
+    assert abs(got["all_slope"] - np.polyfit(np.log(sizes), np.log([n * (n - 1) / 2 for n in sizes]), 1)[0]) < 2e-6
     curve = {x["d"]: x["reps"] for x in rows(spark, "cost_pairs_curve")}
     assert curve == dict.fromkeys((10, 20, 50, 100, 200, 400), 100)

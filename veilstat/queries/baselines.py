@@ -73,13 +73,18 @@ def cost_pairs_curve(spark, d):
     return mean.select("d", "reps", "pairs_mean", (n * n).alias("pairs_ordered"), (n * (n - 1) / 2).alias("pairs_distinct"))
 
 
-@query("cost_slope", "WITH t(d, tree, every) AS (VALUES (50, 848, 2500), (100, 2210, 10000), (200, 5313, 40000), (400, 11016, 160000), (800, 23073, 640000)) SELECT round(regr_slope(ln(tree), ln(d)), 6) + 0.0 AS tree_slope, round(regr_slope(ln(every), ln(d)), 6) + 0.0 AS all_slope FROM t")
-def cost_slope(spark, d):
-    """Log-log slopes of the recorded pair counts: about 1 for the tree method, 2 for all pairs."""
-    t = spark.createDataFrame([(50, 848, 2500), (100, 2210, 10000), (200, 5313, 40000), (400, 11016, 160000), (800, 23073, 640000)], "d int, tree int, every int")
+def slopes(spark, sizes=(50, 100, 200, 400, 800), reps: int = REPS):
+    every = [(n, T.all_pairs_entropy(W.ClosedForm(W.random_tree(n, "42")), n).pairs) for n in sizes]
+    t = pair_counts(spark, sizes, reps).groupBy("d").agg(F.avg("pairs").alias("tree")).join(F.broadcast(spark.createDataFrame(every, "d int, every long")), "d")
     return t.agg(tidy_col(F.regr_slope(F.ln("tree"), F.ln("d"))).alias("tree_slope"), tidy_col(F.regr_slope(F.ln("every"), F.ln("d"))).alias("all_slope"))
 
 
+@query("cost_slope")
+def cost_slope(spark, d):
+    """Log-log slopes of pair counts, of the tree method and of all pairs, as both run on random trees."""
+    return slopes(spark)
+
+
 @query("cost_space", "SELECT 'hash' AS method, 2::BIGINT AS live_rows UNION ALL SELECT 'histogram', count(DISTINCT l_quantity) FROM lineitem UNION ALL SELECT 'two_stage', count(DISTINCT l_quantity) FROM lineitem")
 def cost_space(spark, d):
     """Server state: two counters for the hash method, a cell per symbol for its rivals."""
