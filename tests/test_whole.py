@@ -75,3 +75,15 @@ def test_pair_counts_are_run(spark):
     assert abs(got["all_slope"] - np.polyfit(np.log(sizes), np.log([n * (n - 1) / 2 for n in sizes]), 1)[0]) < 2e-6
     curve = {x["d"]: x["reps"] for x in rows(spark, "cost_pairs_curve")}
     assert curve == dict.fromkeys((10, 20, 50, 100, 200, 400), 100)
+
+
+def test_error_curve_budgets(spark):
+    """Every series at every budget; whole groups, as many as the rows allow."""
+    got = {(r["series"], r["bits"]): r for r in rows(spark, "error_curve")}
+    series = ["hash", *[f"hash alpha={a}" for a in ("4", "3", "2", "1", "0.5")], "raw"]
+    assert set(got) == {(s, b) for s in series for b in (1000, 2000, 5000, 10000, 20000, 50000)}
+    n = table(spark, "lineitem").count()
+    for (s, bits), r in got.items():
+        users = bits // (10 if s == "raw" else 1)
+        assert n // users - (n // 1024 + 2) * 2 // users - 1 <= r["groups"] <= n // users
+        assert (r["error_percent"] is None) == (r["groups"] == 0)

@@ -58,13 +58,18 @@ def _coprime(a: int, b: int) -> bool:
 
 def reports(df: DataFrame, id_col: str, cols: list[str], b: int, alpha: float | None, public: str, private: str, keep: list[str] = ()) -> DataFrame:
     """bucket, idx, report: what leaves the users."""
+    return df.select(*keep, "bucket", "idx", report_of(id_col, cols, b, alpha, public, private).alias("report"))
+
+
+def report_of(id_col: str, cols: list[str], b: int, alpha: float | None, public: str, private: str) -> Column:
+    """The report of a user with bucket and idx."""
     if b < 1 or (alpha is not None and alpha <= 0):
         raise ValueError("b must be at least 1 and alpha positive")
     salted = hash_bits(public, b, F.concat_ws(":", "bucket", "idx"), value_of(cols))
     if alpha is not None:
         noise = F.floor(uniform(private, "draw", F.col(id_col)) * F.lit(1 << b)).cast("int")
         salted = F.when(uniform(private, "keep", F.col(id_col)) < F.lit(keep_rate(alpha, b)), salted).otherwise(noise)
-    return df.select(*keep, "bucket", "idx", salted.alias("report"))
+    return salted
 
 
 def match(sent: DataFrame, by: list[str] = ()) -> DataFrame:

@@ -36,30 +36,71 @@ def error_rows(spark, d, alphas=(None, 4.0, 2.0, 1.0), groups=20, noise="noise")
     return out.unionByName(one)
 
 
+BUDGETS = (1000, 2000, 5000, 10000, 20000, 50000)
+ALPHAS = (None, 4.0, 3.0, 2.0, 1.0, 0.5)
+#: Bits of a raw sample of 1000 symbols.
+RAW_BITS = 10
+#: Pairs that are added up before groups are formed; divides the pairs of every group.
+UNIT = 50
+
+#: (series, bits of a sample, squared keep rate).
+SERIES = [("hash" if a is None else f"hash alpha={a:g}", 1, keep_rate(a, 1) ** 2) for a in ALPHAS] + [("raw", RAW_BITS, None)]
+#: (k, series, bits, units of a group, squared keep rate).
+GRID = [(k, name, bits, bits // each // 2 // UNIT, lam2) for k, (name, each, lam2) in enumerate(SERIES) for bits in BUDGETS]
+
+
+def budget_rows(spark, users, grid=GRID, unit=UNIT):
+    """(series, bits, groups, error_percent): mean relative error of collision entropy at fixed budgets of bits.
+
+    Pairs are numbered through all buckets; a group is as many pairs in a row as the budget
+    pays for. Groups are as many as whole ones fit; the error is null where none does.
+    """
+    paired = C.assign_pairs(users.select("user_id", "x"), "user_id", "pub")
+    told = [C.report_of("user_id", ["x"], 1, a, "pub", "noise").alias(f"r{k}") for k, a in enumerate(ALPHAS)] + [F.col("x").alias(f"r{len(ALPHAS)}")]
+    equal = [(F.min(f"r{k}") == F.max(f"r{k}")).cast("long").alias(f"h{k}") for k in range(len(SERIES))]
+    pairs = paired.select("bucket", "idx", *told).groupBy("bucket", "idx").agg(F.count("*").alias("m"), *equal).where("m = 2")
+    # A number a bucket of about a thousand users comes to the driver.
+    sizes = paired.groupBy("bucket").agg(F.floor(F.count("*") / 2).cast("long").alias("n")).orderBy("bucket").collect()
+    starts, at = [], 0
+    for r in sizes:
+        starts.append((r["bucket"], at))
+        at += r["n"]
+    starts = spark.createDataFrame(starts, "bucket long, start long")
+    place = F.floor((F.col("start") + F.col("idx")) / unit).cast("long")
+    units = pairs.join(starts, "bucket").groupBy(place.alias("unit")).agg(F.count("*").alias("n"), F.array(*[F.sum(f"h{k}") for k in range(len(SERIES))]).alias("hits")).where(F.col("n") == unit)
+    table = F.broadcast(spark.createDataFrame(grid, "k int, series string, bits int, units int, lam2 double"))
+    groups = units.crossJoin(table).groupBy("k", "series", "bits", "units", "lam2", F.floor(F.col("unit") / F.col("units")).alias("g")).agg(F.count("*").alias("c"), F.sum(F.get("hits", F.col("k"))).alias("hits")).where("c = units")
+    n = F.col("units") * F.lit(float(unit))
+    rate = F.col("hits") / n
+    p2 = F.least(F.greatest(F.coalesce((2 * rate - 1) / F.col("lam2"), rate), 1 / n), F.lit(1.0))
+    each = groups.groupBy("k", "bits").agg(F.count("*").alias("groups"), F.avg(F.abs(-F.ln(p2) - TRUTH) / TRUTH * 100).alias("e"))
+    return table.join(each, ["k", "bits"], "left").select("series", "bits", F.coalesce("groups", F.lit(0)).alias("groups"), tidy_col(F.col("e")).alias("error_percent"))
+
+
 def _error_sql() -> str:
     from .collision import pairs_sql, symbols
     from .sqltext import hash_bits
 
-    users = f"SELECT {KEY} AS user_id, CAST(least(1000, ceil(-ln(1 - {coin('pub', 'exp', KEY)}))) AS INT) AS x, CAST(floor({coin('pub', 'rep', KEY)} * 20) AS INT) AS rep FROM lineitem"
+    users = f"SELECT {KEY} AS user_id, CAST(least(1000, ceil(-ln(1 - {coin('pub', 'exp', KEY)}))) AS INT) AS x FROM lineitem"
     hb = hash_bits("pub", 1, "concat_ws(':', bucket, idx)", symbols("x"))
-    arms = []
-    for alpha in (None, 4.0, 2.0, 1.0):
-        lam = keep_rate(alpha, 1)
-        report = hb if alpha is None else f"CASE WHEN {coin('noise', 'keep', 'user_id')} < {lam!r}::DOUBLE THEN {hb} ELSE CAST(floor({coin('noise', 'draw', 'user_id')} * 2) AS BIGINT) END"
-        raw = f"((2 * (hits::DOUBLE / n_pairs) - 1) / {lam * lam!r}::DOUBLE)"
-        # The estimate is rounded to six digits before its error is taken, as the sketch returns it.
-        est = f"round(-ln(least(greatest({raw}, 1.0::DOUBLE / n_pairs), 1.0::DOUBLE)), 6)"
-        arms.append(f"""SELECT '{'hash' if alpha is None else f'hash alpha={alpha:g}'}' AS series, {tidy('2 * avg(n_pairs)')} AS mean_bits, {tidy(f'avg(abs({est} - {TRUTH!r}::DOUBLE) / {TRUTH!r}::DOUBLE * 100)')} AS error_percent FROM (
-            SELECT rep, count(*) AS n_pairs, sum(CASE WHEN lo = hi THEN 1 ELSE 0 END) AS hits FROM (SELECT rep, bucket, idx, min(r) AS lo, max(r) AS hi FROM (SELECT rep, bucket, idx, {report} AS r FROM p) GROUP BY 1, 2, 3 HAVING count(*) = 2) GROUP BY rep)""")
-    q = "greatest(hits::DOUBLE / n_pairs, 1.0::DOUBLE / n_pairs)"
-    arms.append(f"""SELECT 'raw' AS series, {tidy('20 * avg(n_pairs)')} AS mean_bits, {tidy(f'avg(abs(-ln({q}) - {TRUTH!r}::DOUBLE) / {TRUTH!r}::DOUBLE * 100)')} AS error_percent FROM (
-            SELECT rep, count(*) AS n_pairs, sum(CASE WHEN lo = hi THEN 1 ELSE 0 END) AS hits FROM (SELECT rep, bucket, idx, min(x) AS lo, max(x) AS hi FROM p GROUP BY 1, 2, 3 HAVING count(*) = 2) GROUP BY rep)""")
-    return f"WITH {pairs_sql(users, 'user_id', 'rep')} " + " UNION ALL ".join(arms)
+    told = [hb if a is None else f"CASE WHEN {coin('noise', 'keep', 'user_id')} < {keep_rate(a, 1)!r}::DOUBLE THEN {hb} ELSE CAST(floor({coin('noise', 'draw', 'user_id')} * 2) AS BIGINT) END" for a in ALPHAS] + ["x"]
+    ks = range(len(SERIES))
+    grid = ", ".join(f"({k}, '{name}', {bits}, {units * UNIT}, {'NULL' if lam2 is None else repr(lam2)}::DOUBLE)" for k, name, bits, units, lam2 in GRID)
+    hits = " ".join(f"WHEN {k} THEN h{k}" for k in ks)
+    p2 = "least(greatest(coalesce((2 * (hits::DOUBLE / size) - 1) / lam2, hits::DOUBLE / size), 1.0::DOUBLE / size), 1.0::DOUBLE)"
+    return f"""WITH {pairs_sql(users, 'user_id')},
+      m AS (SELECT bucket, idx, {', '.join(f'CAST(min(r{k}) = max(r{k}) AS INT) AS h{k}' for k in ks)} FROM (SELECT bucket, idx, {', '.join(f'{t} AS r{k}' for k, t in enumerate(told))} FROM p) GROUP BY 1, 2 HAVING count(*) = 2),
+      o AS (SELECT *, row_number() OVER (ORDER BY bucket, idx) - 1 AS pair FROM m),
+      t(k, series, bits, size, lam2) AS (VALUES {grid}),
+      s AS (SELECT k, bits, size, lam2, pair // size AS g, sum(CASE k {hits} END) AS hits FROM o CROSS JOIN t GROUP BY ALL HAVING count(*) = size),
+      e AS (SELECT k, bits, count(*) AS groups, avg(abs(-ln({p2}) - {TRUTH!r}::DOUBLE) / {TRUTH!r}::DOUBLE * 100) AS e FROM s GROUP BY k, bits)
+      SELECT series, bits, coalesce(groups, 0) AS groups, {tidy('e')} AS error_percent FROM t LEFT JOIN e USING (k, bits)"""
 
 
 @query("error_curve", _error_sql())
 def error_curve(spark, d):
-    return error_rows(spark, d)
+    """Error against bits: a row for every series and budget, over as many groups as the rows allow."""
+    return budget_rows(spark, line_users(spark, d).select("user_id", exponential(uniform("pub", "exp", F.col("user_id"))).alias("x")))
 
 
 @query("gini_by_support")
