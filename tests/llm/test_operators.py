@@ -274,6 +274,66 @@ def test_ngram_groups(spark, corpus, k, percent):
     assert len({w[2] for w in want}) < len(rows) - 20
 
 
+@pytest.mark.parametrize("side", [1024, 16])
+def test_ngram_groups_in_tiles(spark, monkeypatch, side):
+    """Groups that are larger than FEW, blocks smaller than the groups, and sets just below the threshold."""
+    import random
+
+    from veilstat.llm import ngram_join as N
+
+    monkeypatch.setattr(N, "SIDE", side)
+    rnd, rows = random.Random(5), []
+    for g, size in enumerate((150, 40, 12)):
+        for _ in range(size):
+            w = [f"w{g}_{i}" for i in range(150)]
+            for _ in range(rnd.choice([0, 1, 2, 3, 4, 6])):
+                w[rnd.randrange(len(w))] = f"m{rnd.randrange(10**6)}"
+            rows.append((len(rows), " ".join(w)))
+    rows += [(len(rows) + i, " ".join(f"q{rnd.randrange(40)}" for _ in range(rnd.choice([1, 2, 3, 5, 8, 30])))) for i in range(60)]
+    rnd.shuffle(rows)
+    rows = [(i, t) for i, (_, t) in enumerate(rows)]
+    sets = [{tuple(w[j : j + 3]) for j in range(len(w) - 2)} if len(w) > 2 else {tuple(w)} for w in (t.split() for _, t in rows)]
+    links = [(a, b) for a in range(len(rows)) for b in range(a) if 100 * len(sets[a] & sets[b]) >= 90 * len(sets[a] | sets[b])]
+    label = components(len(rows), links)
+    assert 100 < len(set(label)) < len(rows)
+    got = {r["doc_id"]: r["component_id"] for r in N.ngram_groups(frame(spark, rows)).collect()}
+    assert got == dict(enumerate(label))
+
+
+def test_bitmaps_bound_the_overlap():
+    from veilstat.llm.ngram_join import candidates, forest, shared_counts
+
+    rng = np.random.default_rng(2)
+
+    class Fake:  # sets of bare n-gram hashes
+        from veilstat.llm.ngram_join import Sets
+
+        bitmaps = Sets.bitmaps
+
+        def __init__(self, sets):
+            self.gram = np.concatenate(sets)
+            self.n = np.array([len(s) for s in sets])
+            self.start = np.cumsum(self.n) - self.n
+
+    base = rng.integers(0, 1 << 62, 400).astype(np.uint64)
+    sets = [np.unique(np.where(rng.random(len(x)) < rate, rng.integers(0, 1 << 62, len(x)).astype(np.uint64), x)) for x in (base, base[:130], base[:120]) for rate in (0, 0.02, 0.05, 0.1, 0.3) for _ in range(4)]
+    both = np.array([[len(np.intersect1d(a, b)) for b in sets] for a in sets])
+    n = np.array([len(s) for s in sets])
+    linked = 100 * both >= 80 * (n[:, None] + n[None, :] - both)
+    bits = Fake(sets).bitmaps()
+    who = np.arange(len(sets))
+    for side in (np.zeros(len(sets), int), who % 2):
+        i, j = candidates(side, n, who, bits, 80)
+        found = {(min(a, b), max(a, b)) for a, b in zip(i.tolist(), j.tolist(), strict=True) if a != b}
+        want = {(a, b) for a, b in zip(*np.nonzero(np.triu(linked, 1)), strict=True) if not side.any() or side[a] != side[b]}
+        assert want <= found and len(found) < len(want) + 60
+    owner = np.repeat(who, n)
+    i, j = np.triu_indices(len(sets), 1)
+    for few in (slice(None), slice(0, 40)):  # products of matrices, and looking up
+        assert (shared_counts(np.concatenate(sets), owner, len(sets), i[few], j[few]) == both[i[few], j[few]]).all()
+    assert forest(6, np.array([5, 4, 1]), np.array([4, 2, 0])).tolist() == [0, 0, 2, 3, 2, 2]
+
+
 def test_ngram_groups_empty(spark):
     from veilstat.llm.ngram_join import ngram_groups
 

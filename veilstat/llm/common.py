@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import ctypes
+import shutil
 import tempfile
+import threading
 import uuid
 from collections.abc import Iterator
 
@@ -18,7 +22,14 @@ WHITE = r"[\x20\x09-\x0D]+"
 _CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 _own_scratch: dict[str, str] = {}
-_staged: list[str] = []
+_mine = threading.local()
+
+
+def _staged() -> list[str]:
+    """Tables that this thread has staged; queries in other threads keep theirs."""
+    if not hasattr(_mine, "tables"):
+        _mine.tables = []
+    return _mine.tables
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -34,11 +45,12 @@ def scratch_dir(spark: SparkSession) -> str:
     shared = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if shared:
         return shared.rstrip("/")
-    if not spark.sparkContext.master.startswith("local["):
+    if spark.sparkContext.master.partition("[")[0] != "local":
         raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
     app = spark.sparkContext.applicationId
     if app not in _own_scratch:
         _own_scratch[app] = tempfile.mkdtemp(prefix="veilstat-")
+        atexit.register(shutil.rmtree, _own_scratch[app], ignore_errors=True)
     return _own_scratch[app]
 
 
@@ -53,24 +65,26 @@ def stage(df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(path)
     finally:
         spark.conf.set(_CLEANUP, before)
-    _staged.append(path.removeprefix("file://"))
+    _staged().append(path.removeprefix("file://"))
     return spark.read.schema(df.schema).parquet(path)
 
 
 def staged_tables() -> int:
     """How many tables are staged just now; a mark for :func:`drop_staged`."""
-    return len(_staged)
+    return len(_staged())
 
 
 def drop_staged(spark: SparkSession, mark: int = 0, keep: DataFrame | None = None) -> None:
     """Delete the tables staged since ``mark``, but for the one that ``keep`` reads."""
-    kept = [p for p in _staged[mark:] if keep is not None and any(p in f for f in keep.inputFiles())]
+    files = [] if keep is None else keep.inputFiles()
+    tables = _staged()
+    kept = [p for p in tables[mark:] if any(p in f for f in files)]
     hadoop = spark._jvm.org.apache.hadoop.fs
-    for name in _staged[mark:]:
+    for name in tables[mark:]:
         if name not in kept:
             path = hadoop.Path(name)
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
-    _staged[mark:] = kept
+    tables[mark:] = kept
 
 
 def small_batches(spark: SparkSession, rows: int = 1000) -> None:
@@ -78,6 +92,15 @@ def small_batches(spark: SparkSession, rows: int = 1000) -> None:
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(rows))
 
 
+def tidy() -> None:
+    """Give memory that a finished task held back to the system: Python workers live on."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library frees by itself
+        pass
+
+
 def texts_of(column) -> pa.Array:
     """A text column with nulls as empty strings."""
     if isinstance(column, pa.ChunkedArray):
