@@ -159,6 +159,14 @@ def test_packing(spark):
     tok = tokenizer("byte_bpe_50k.json")
     n = {t: len(tok.encode(t or "", add_special_tokens=False).ids) + 1 for _, t in ROWS}
     assert got.length.sum() == 3 * sum(n[t] for _, t in ROWS)
+    want = []
+    for doc_id, t in ROWS * 3:
+        ids = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 0], "<u4")
+        head = len(ids) % 256 or 256
+        cuts = [0, *range(head, len(ids) + 1, 256)]
+        want += [(doc_id, p, a, b - a, zlib.crc32(ids[a:b].tobytes())) for p, (a, b) in enumerate(zip(cuts, cuts[1:]))]
+    ids = got.doc_id.astype(object).where(got.doc_id.notna(), None)
+    assert multiset((None if i is None else int(i), *map(int, r)) for i, r in zip(ids, got[["piece", "start", "length", "ids_crc32"]].values.tolist())) == multiset(want)
     assert got[got.piece > 0].length.eq(256).all()
     assert got.sequence_id.nunique() <= -(-got.length.sum() // 256) * 1.05 + 1
     assert pack_documents(frame(spark).limit(0), P.path("byte_bpe_50k.json")).count() == 0
@@ -170,7 +178,7 @@ def test_plan_covers_exactly_and_is_tight():
     rng = np.random.default_rng(3)
     for need in (rng.integers(0, 40, 129), np.bincount(rng.integers(1, 129, 50), minlength=129), np.bincount([65] * 9, minlength=129)):
         need[0] = 0
-        steps = plan(need, 128)
+        steps = plan(need, 128).steps
         have = np.zeros(129, int)
         for pattern, times in steps:
             assert sum(s * k for s, k in pattern) <= 128
@@ -182,6 +190,27 @@ def test_plan_covers_exactly_and_is_tight():
         assert used <= least * 1.1 + 1
 
 
+def test_program_makes_the_plan(spark):
+    """At sf0.1 most sequences come from the rounded program, and filling alone is never better."""
+    from veilstat.llm.packing import _filled, fractional, plan, token_pieces
+
+    for sf, share in (("sf0.01", 0.8), ("sf0.1", 0.8)):
+        docs = spark.read.parquet(f"/root/testdata/{sf}/documents.parquet")
+        need = np.zeros(2049, np.int64)
+        for r in token_pieces(docs, P.path("byte_bpe_50k.json")).groupBy("length").count().collect():
+            need[r["length"]] = r["count"]
+        made = plan(need, 2048)
+        assert made.rounded >= share * made.sequences
+        assert made.bound <= made.sequences <= sum(k for _, k in _filled(need.copy(), 2048))
+        assert made.sequences == -(-(need * np.arange(2049)).sum() // 2048)
+    x, bound = fractional(need, 2048)
+    covered = np.zeros(2049)
+    for pattern, amount in x.items():
+        for s, k in pattern:
+            covered[s] += k * amount
+    assert np.allclose(covered, need) and len(x) <= (need > 0).sum() and bound <= sum(x.values()) + 1e-6
+
+
 def test_knapsack_against_brute_force():
     from veilstat.llm.packing import knapsack
 
