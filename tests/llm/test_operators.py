@@ -223,13 +223,18 @@ def test_knapsack_against_brute_force():
 # Exact copies
 
 
-@pytest.mark.parametrize("prime", [(1 << 31) - 1, 7])
-def test_exact_groups(spark, prime):
-    """With the tiny prime nearly all equal-length texts collide and the comparison has to tell them apart."""
+@pytest.mark.parametrize("prime,chunk,hot", [((1 << 31) - 1, 1 << 16, 2048), (7, 1 << 16, 2), ((1 << 31) - 1, 1000, 3), (3, 4, 2048)])
+def test_exact_groups(spark, monkeypatch, prime, chunk, hot):
+    """With a tiny prime nearly all equal-length texts collide and the comparison has to tell them apart;
+    with small chunks most texts are hashed and compared in parts."""
+    from veilstat.llm import exact_dedup
     from veilstat.llm.exact_dedup import exact_groups
 
-    rows = ROWS + [(20 + i, f"x{i % 4} {'a' * 5}") for i in range(12)]
-    got = exact_groups(frame(spark, rows), prime).collect()
+    monkeypatch.setattr(exact_dedup, "HOT", hot)
+    text = LONG if chunk > 4 else LONG[:3000]
+    rows = [(i, t.replace(LONG, text) if t else t) for i, t in ROWS] + [(20 + i, f"x{i % 4} {'a' * 5}") for i in range(12)]
+    rows += [(7, text), (40, text), (None, text), (41, text[:-1] + "?"), (42, "?" + text[1:]), (None, "x1 aaaaa"), (None, "x9 aaaaa")]
+    got = exact_groups(frame(spark, rows), prime, chunk).collect()
     groups = {}
     for i, t in rows:
         groups.setdefault(norm(t), []).append(i)
@@ -459,6 +464,55 @@ def test_pii_spans():
     assert base_spans("é a@b.c")[0] == ("email", 2, 7)
 
 
+# The contract's patterns, tried from every start as they are written.
+PLAIN = {
+    "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+",
+    "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
+    "card": r"[0-9]([\x20-]?[0-9])+",
+    "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
+}
+
+
+def plain_spans(text):
+    out = []
+    for kind, pattern in PLAIN.items():
+        for m in re.finditer(pattern, text):
+            digits = [int(c) for c in m[0] if c in "0123456789"]
+            if kind == "ip" and any(int(p) > 255 for p in m[0].split(".")):
+                continue
+            if kind == "card":
+                twice = [d if i % 2 == 0 else sum(divmod(2 * d, 10)) for i, d in enumerate(digits[::-1])]
+                if not 16 <= len(digits) <= 19 or sum(twice) % 10:
+                    continue
+            if kind == "phone" and not 8 <= len(digits) <= 15:
+                continue
+            out.append((kind, m.start(), m.end()))
+    return out
+
+
+def test_pii_against_plain_patterns(corpus):
+    from veilstat.llm.pii import base_spans
+
+    rng = np.random.default_rng(8)
+    card = "4111 1111-1111 1111"
+    made = ["".join(rng.choice(list("ab.@-+1205 ()é_"), rng.integers(1, 60))) for _ in range(4000)]
+    made += ["".join(rng.choice(["0", "4111111111111111", card, " ", "-", ".", "+", "@", "x", "255", "256", "٣", "1.2.3.4"], 12)) for _ in range(3000)]
+    for text in [t or "" for _, t in ROWS + corpus] + made:
+        assert base_spans(text) == plain_spans(text), text
+
+
+def test_pii_of_a_megabyte():
+    """Runs that match nothing are tried once, not from each of their characters."""
+    import time
+
+    from veilstat.llm.pii import all_spans
+
+    for run in ("1" * 1_000_000 + " . + @", "a" * 1_000_000 + " @ 1", "1." * 500_000, "1 " * 500_000, "a@" * 500_000, "+1" + "(" * 1_000_000, "A1" * 500_000, "0" * 999_990 + ".0.0.1"):
+        began = time.time()
+        all_spans(run)
+        assert time.time() - began < 5, run[:5]
+
+
 def test_pii_frame(spark):
     from veilstat.llm.pii import base_spans, find_pii, joined, mask_pii
 
