@@ -2,23 +2,23 @@
 
 A text's bytes are cut into chunks; each chunk is hashed alone and the chunk hashes are
 combined by length-shifted arithmetic, H(AB) = H(A) + r^|A| * H(B) modulo a prime, so the
-chunks of a huge document can be hashed anywhere and in any order. Four bases modulo
-2^31 - 1 and the length make the fingerprint.
+chunks of a huge document can be hashed anywhere and in any order: texts longer than one
+chunk are dealt to the tasks chunk by chunk, and only sums of shifted hashes meet. Four bases
+modulo 2^31 - 1 and the length make the fingerprint.
 
-Equal fingerprints only propose copies. Every member of a group is then compared with the
-group's first text, chunk by chunk; a group in which any member differs is regrouped by
-the SHA-256 of its texts.
+Equal fingerprints only propose copies. The chunks of every member of a group are then
+compared with the same chunks of the group's first text; a group in which any chunk differs
+is regrouped by the SHA-256 of its texts.
 """
 
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WHITE, only, sized, small_batches, stage, text_slices
+from .common import WHITE, only, raw_bytes, sized, small_batches, stage, text_slices, tidy
 
 PRIME = (1 << 31) - 1
 #: Fixed bases of the four polynomials.
@@ -26,6 +26,8 @@ BASES = (1_000_003, 480_729_587, 1_366_217_011, 2_011_434_689)
 CHUNK = 1 << 16
 #: Members of one group that are compared in one task.
 GROUP_SHARE = 512
+#: Rows from which a group's size and first id are sent to its rows, where few groups are that large.
+HOT = 2048
 
 
 def normalised(text: Column) -> Column:
@@ -67,8 +69,8 @@ class Fingerprinter:
             total = self.combine(total, (len(piece), self.chunk_hash(piece)))
         return total
 
-    def of_rows(self, data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
-        """rows x (length, hashes). Rows within one chunk are hashed together, longer ones chunk by chunk."""
+    def of_rows(self, data: np.ndarray, offsets: np.ndarray, long_too: bool = True) -> np.ndarray:
+        """rows x (length, hashes). Rows within one chunk are hashed together, longer ones chunk by chunk, if at all."""
         lengths = np.diff(offsets)
         out = np.zeros((len(lengths), 1 + len(BASES)), dtype=np.int64)
         out[:, 0] = lengths
@@ -80,7 +82,7 @@ class Fingerprinter:
             starts = offsets[:-1][lengths > 0]
             for k, table in enumerate(self.tables):
                 out[lengths > 0, 1 + k] = np.add.reduceat(x * table[place], starts) % np.uint64(self.prime)
-        for i in np.flatnonzero(lengths > self.chunk):
+        for i in np.flatnonzero(lengths > self.chunk) if long_too else ():
             out[i, 1:] = self.of(data[offsets[i] : offsets[i + 1]])[1]
         return out
 
@@ -103,52 +105,85 @@ def combine_chunks(chunks: DataFrame, prime: int = PRIME) -> DataFrame:
 
 
 PRINT = ["n_bytes", "h1", "h2", "h3", "h4"]
+_HASHES = ", ".join(f"{c} long" for c in PRINT)
 
 
-def fingerprints(docs: DataFrame, prime: int = PRIME) -> DataFrame:
-    """doc_id, text_sha256 and the fingerprint of every row's normalised text."""
+def _same_row(a: DataFrame, b: DataFrame) -> Column:
+    """Rows of one id and text hash; null ids match each other."""
+    return a.doc_id.eqNullSafe(b.doc_id) & (a.key == b.key)
+
+
+def fingerprints(docs: DataFrame, prime: int = PRIME, chunk: int = CHUNK) -> DataFrame:
+    """doc_id, text_sha256, key and the fingerprint of every row's normalised text (a staged table).
+
+    ``key`` tells the texts of one id apart. Texts of up to ``chunk`` bytes are hashed where
+    they are read. Longer ones leave as rows of a chunk each, which are hashed in as many
+    tasks as there are and combined.
+    """
     small_batches(docs.sparkSession)
     ids = docs.schema["doc_id"].dataType.simpleString()
-    rows = docs.select("doc_id", normalised(F.col("text")).alias("text")).withColumn("text_sha256", F.sha2("text", 256))
+    text = normalised(F.col("text")).alias("text")
+    rows = docs.select("doc_id", text).select("doc_id", "text", F.sha2("text", 256).alias("text_sha256"), F.xxhash64("text").alias("key"))
+    names = ["doc_id", "text_sha256", "key", *PRINT, "start", "chunk"]
 
     def run(batches):
-        make = Fingerprinter(prime)
+        make = Fingerprinter(prime, chunk)
         for batch in batches:
             for part, data, offs in text_slices(batch):
-                got = make.of_rows(data, offs)
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), *[pa.array(got[:, k]) for k in range(5)]], ["doc_id", "text_sha256", *PRINT])
-
-    return rows.mapInArrow(run, f"doc_id {ids}, text_sha256 string, " + ", ".join(f"{c} long" for c in PRINT))
-
-
-def _same(a: pd.Series, b: pd.Series) -> pd.Series:
-    def equal(x: str, y: str) -> bool:
-        return len(x) == len(y) and all(x[i : i + CHUNK] == y[i : i + CHUNK] for i in range(0, len(x), CHUNK))
-
-    return pd.Series([equal(x, y) for x, y in zip(a, b, strict=True)], dtype=bool)
-
-
-def differing(docs: DataFrame, prints: DataFrame) -> DataFrame:
+                got = make.of_rows(data, offs, long_too=False)
+                long = np.flatnonzero(np.diff(offs) > chunk)
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), part.column(3), *[pa.array(got[:, k]) for k in range(5)], pa.nulls(len(got), pa.int64()), pa.nulls(len(got), pa.binary())], names)
+                for i in long.tolist():
+                    starts = np.arange(0, offs[i + 1] - offs[i], chunk)
+                    at = pa.array(np.full(len(starts), i))
+                    raw = [data[offs[i] + a : min(offs[i] + a + chunk, offs[i + 1])].tobytes() for a in starts.tolist()]
+                    size = pa.array([len(x) for x in raw], pa.int64())
+                    none = [pa.nulls(len(starts), pa.int64())] * 4
+                    yield pa.RecordBatch.from_arrays([*(part.column(c).take(at) for c in (0, 2, 3)), size, *none, pa.array(starts), pa.array(raw, pa.binary())], names)
+        tidy()
+
+    def hash_chunks(batches):
+        make = Fingerprinter(prime, chunk)
+        for batch in batches:
+            data, offs = raw_bytes(batch.column(3))
+            got = make.of_rows(data, offs)
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], *[pa.array(got[:, k]) for k in range(5)]], ["doc_id", "key", "start", *PRINT])
+        tidy()
+
+    told = stage(rows.mapInArrow(run, f"doc_id {ids}, text_sha256 string, key long, {_HASHES}, start long, chunk binary"), "fingerprints")
+    whole = told.where("start IS NULL").drop("start", "chunk")
+    chunks = told.where("start IS NOT NULL").select("doc_id", "key", "start", "chunk").repartition("doc_id", "key", "start")
+    hashed = chunks.mapInArrow(hash_chunks, f"doc_id {ids}, key long, start long, {_HASHES}").dropDuplicates(["doc_id", "key", "start"])
+    combined = combine_chunks(hashed.withColumn("doc_key", F.struct("doc_id", "key")), prime)
+    combined = stage(combined.select("doc_key.*", *PRINT), "long-fingerprints")
+    long = whole.where(F.col("n_bytes") > chunk).select("doc_id", "text_sha256", "key")
+    long = long.join(sized(combined), _same_row(long, combined)).select(long.doc_id, "text_sha256", long.key, *PRINT)
+    return whole.where(F.col("n_bytes") <= chunk).unionByName(long)
+
+
+def differing(docs: DataFrame, prints: DataFrame, chunk: int = CHUNK) -> DataFrame:
     """Fingerprints under which some text differs from the first one; usually none.
 
-    Members of a group are dealt over shares of about ``GROUP_SHARE`` rows, and the first
-    text is sent to each share, so that a group with a third of all rows spreads out.
+    Texts meet as streams of chunks: each chunk of a member with the same chunk of the first
+    text. Members of a group are dealt over shares of about ``GROUP_SHARE`` rows, and the
+    first text is sent to each share, so that a group with a third of all rows spreads out.
     """
-    groups = prints.groupBy(*PRINT).agg(F.count("*").alias("n"), F.min("doc_id").alias("first")).where("n > 1")
-    salted = F.pmod(F.xxhash64("doc_id"), F.col("shares"))
+    groups = prints.groupBy(*PRINT).agg(F.count("*").alias("n"), F.min(F.struct(F.isnull("doc_id").alias("late"), "doc_id", "key")).alias("first")).where("n > 1")
     groups = groups.withColumn("shares", F.ceil(F.col("n") / GROUP_SHARE).cast("long"))
-    texts = docs.select("doc_id", normalised(F.col("text")).alias("text"))
-    # Only rows in groups of two or more carry their text on.
-    members = stage(prints.select("doc_id", *PRINT).join(groups, PRINT).select("doc_id", *PRINT, "first", "shares"), "group-members")
-    with_text = texts.join(sized(members), "doc_id")
-    firsts = with_text.where("doc_id = first").select(*PRINT, F.col("text").alias("first_text"), F.explode(F.sequence(F.lit(0), F.col("shares") - 1)).alias("share")).dropDuplicates([*PRINT, "share"])
-    others = with_text.where("doc_id <> first").withColumn("share", salted)
-    same = F.pandas_udf(_same, "boolean")
-    pairs = others.join(firsts, [*PRINT, "share"])
-    return pairs.where(~same("text", "first_text")).select(*PRINT).distinct()
-
-
-def exact_groups(docs: DataFrame, prime: int = PRIME) -> DataFrame:
+    # Only rows in groups of two or more carry their text on; rows of one id and text hash are looked up once.
+    firsts = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("key") == F.col("first.key"))
+    members = prints.join(groups, PRINT).select("doc_id", "key", *PRINT, "shares", firsts.alias("is_first")).distinct()
+    members = stage(members, "group-members")
+    texts = docs.select("doc_id", normalised(F.col("text")).alias("text")).withColumn("key", F.xxhash64("text"))
+    found = texts.join(sized(members), _same_row(texts, members)).select(members.doc_id, members.key, *PRINT, "shares", "is_first", F.encode("text", "UTF-8").alias("raw"))
+    number = F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.lit(0), F.floor((F.col("n_bytes") - 1) / chunk)))).alias("number")
+    chunks = found.select("*", number).withColumn("chunk", F.expr(f"substring(raw, cast(number * {chunk} + 1 as int), {chunk})")).drop("raw")
+    first = chunks.where("is_first").select(*PRINT, "number", F.col("chunk").alias("first_chunk"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("shares") - 1)).alias("share")).dropDuplicates([*PRINT, "number", "share"])
+    others = chunks.withColumn("share", F.pmod(F.xxhash64("doc_id", "key"), F.col("shares")))
+    return others.join(first, [*PRINT, "number", "share"]).where("chunk <> first_chunk").select(*PRINT).distinct()
+
+
+def exact_groups(docs: DataFrame, prime: int = PRIME, chunk: int = CHUNK) -> DataFrame:
     """doc_id, keep_id, group_size, kept, text_sha256 for every row of ``docs``.
 
     Texts are equal when identical once white space runs are single spaces; null counts as
@@ -157,10 +192,23 @@ def exact_groups(docs: DataFrame, prime: int = PRIME) -> DataFrame:
     counted each. An empty table gives an empty result; other columns are ignored.
     """
     docs = only(docs, "doc_id", "text")
-    prints = stage(fingerprints(docs, prime), "fingerprints")
-    odd = stage(differing(docs, prints), "fingerprint-collisions").withColumn("odd", F.lit(True))
+    prints = fingerprints(docs, prime, chunk)
+    odd = stage(differing(docs, prints, chunk), "fingerprint-collisions").withColumn("odd", F.lit(True))
     keyed = prints.join(sized(odd, None), PRINT, "left")
     keyed = keyed.withColumn("which", F.when(F.col("odd"), F.col("text_sha256")).otherwise("")).drop("odd")
-    key = [*PRINT, "which"]
-    groups = keyed.groupBy(*key).agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
-    return keyed.join(groups, key).select("doc_id", "keep_id", "group_size", F.coalesce(F.col("doc_id") == F.col("keep_id"), F.col("keep_id").isNull()).alias("kept"), "text_sha256")
+    by = [*PRINT, "which"]
+    groups = keyed.groupBy(*by).agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
+    groups = stage(groups.where("group_size > 1"), "groups")
+
+    def told(rows: DataFrame, group: DataFrame) -> DataFrame:
+        alone = F.col("group_size").isNull()
+        keep = F.when(alone, F.col("doc_id")).otherwise(F.col("keep_id"))
+        kept = F.coalesce(F.col("doc_id") == keep, keep.isNull())
+        return rows.join(group, by, "left").select("doc_id", keep.alias("keep_id"), F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"), kept.alias("kept"), "text_sha256")
+
+    hot = groups.where(F.col("group_size") >= HOT)
+    sent = sized(hot, None)
+    if sent is hot:  # too many to be sent: the join splits them as it finds them
+        return told(keyed, groups)
+    at_hot = keyed.join(sent.select(*by, F.lit(True).alias("is_hot")), by, "left")
+    return told(at_hot.where("is_hot"), sent).unionByName(told(at_hot.where("is_hot IS NULL").drop("is_hot"), groups.where(F.col("group_size") < HOT)))
