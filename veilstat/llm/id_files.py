@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import raw_bytes, scratch_dir, small_batches, stage, texts_of
+from .common import raw_bytes, scratch_dir, small_batches, stage, texts_of, tidy
 
 MAGIC = b"IDPLANE1"
 BLOCK = 1 << 16
@@ -188,6 +188,7 @@ def write_ids(docs: DataFrame, path: str, folder: str, end_id: int = 1, kind: st
             writer.close()
             sink.close()
             yield pa.RecordBatch.from_pylist([{"shard": task.partitionId(), "path": name, "size": store.get_file_info(at).size, "n_docs": len(writer.doc_ids), "n_ids": n_ids}])
+        tidy()
 
     ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     return stage(ordered.mapInArrow(write, "shard long, path string, size long, n_docs long, n_ids long"), "id-manifest")
@@ -216,6 +217,7 @@ def read_ids(manifest: DataFrame, id_type: str = "bigint") -> DataFrame:
                         start += len(got)
                 kind = pa.int32() if id_type == "int" else pa.int64() if id_type == "bigint" else pa.string()
                 yield pa.RecordBatch.from_arrays([pa.array(ids, kind), pa.array(starts, pa.int64()), pa.array(ns, pa.int64()), pa.array(crcs, pa.int64())], ["doc_id", "start", "n_tokens", "ids_crc32"])
+        tidy()
 
     shards = max(1, manifest.count())
     return placed.repartition(shards, "path").mapInArrow(read, f"doc_id {id_type}, start long, n_tokens long, ids_crc32 long")

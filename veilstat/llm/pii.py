@@ -15,7 +15,7 @@ import re
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import small_batches, texts_of
+from .common import small_batches, texts_of, tidy
 
 KINDS = ("email", "ip", "card", "phone")
 ADDED = ("iban", "ssn")
@@ -143,6 +143,7 @@ def find_pii(docs: DataFrame) -> DataFrame:
                 cols[6].append(",".join(f"{s[3]:g}" for s in spans))
             arrays = [pa.array(c, pa.int64() if k < 4 else pa.string()) for k, c in enumerate(cols)]
             yield pa.RecordBatch.from_arrays([batch.column(0), *arrays], names)
+        tidy()
 
     names = ["doc_id", *[f"n_{k}" for k in KINDS], "base_sha256", "spans", "scores"]
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {ids}, " + ", ".join(f"n_{k} long" for k in KINDS) + ", base_sha256 string, spans string, scores string")
@@ -172,5 +173,6 @@ def mask_pii(docs: DataFrame, text: str = "text") -> DataFrame:
         for batch in batches:
             clean = pa.array([None if t is None else masked(t) for t in batch.column(at).to_pylist()], batch.schema.field(at).type)
             yield batch.set_column(at, batch.schema.field(at), clean)
+        tidy()
 
     return docs.mapInArrow(run, docs.schema)

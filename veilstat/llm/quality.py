@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, small_batches, text_slices
+from .common import only, small_batches, text_slices, tidy
 from .textkernel import words
 
 PASSAGE = 64
@@ -187,6 +187,7 @@ def fit_model(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model
                 heads = np.searchsorted(row, np.arange(part.num_rows + 1))
                 raw = [x[a:b].tobytes() for a, b in zip(heads[:-1], heads[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(2), pa.array(raw, pa.binary())], ["doc_id", "quality", "x"])
+        tidy()
 
     ids, kind = docs.schema["doc_id"].dataType.simpleString(), labels.schema["quality"].dataType.simpleString()
     got = texts.select("doc_id", "text", "quality").mapInArrow(encode, f"doc_id {ids}, quality {kind}, x binary").collect()
@@ -214,6 +215,7 @@ def score_documents(docs: DataFrame, model: Model, threshold: float = THRESHOLD)
             for part, data, offs in text_slices(batch):
                 row, x = passages(data, offs)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(m.score(row, x, part.num_rows))], ["doc_id", "score"])
+        tidy()
 
     scored = only(docs, "doc_id", "text").mapInArrow(run, f"doc_id {ids}, score double")
     return scored.select("doc_id", held_out("doc_id").alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
@@ -230,5 +232,6 @@ def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD, te
             for part, data, offs in text_slices(batch, text):
                 row, x = passages(data, offs)
                 yield part.filter(pa.array(m.score(row, x, part.num_rows) >= threshold))
+        tidy()
 
     return docs.mapInArrow(run, docs.schema)

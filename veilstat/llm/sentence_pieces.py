@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import small_batches, texts_of
+from .common import small_batches, texts_of, tidy
 
 SPACE = "▁"
 CACHE_UNITS = 600_000
@@ -318,5 +318,6 @@ def encode_documents(docs: DataFrame, path: str) -> DataFrame:
                 sha.append(hashlib.sha256(back.encode()).hexdigest())
                 same.append(back == text)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(crc, pa.int64()), pa.array(sha, pa.string()), pa.array(same, pa.bool_())], ["doc_id", "n_pieces", "ids_crc32", "decoded_sha256", "round_trip"])
+        tidy()
 
     return docs.select("doc_id", "text").mapInArrow(run, f"doc_id {ids_type}, n_pieces long, ids_crc32 long, decoded_sha256 string, round_trip boolean")

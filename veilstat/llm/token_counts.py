@@ -3,7 +3,8 @@
 Tier one is a compact hash table of the most frequent pre-token units and their token
 lengths, at most ``FREQUENT`` entries, broadcast to every task. It is found from all
 documents: each task keeps a bounded summary of its own units (the heaviest ``SUMMARY``),
-only the summaries are added up, and no unit of a text is ever shuffled. Tier two is a
+a task's summary travels as one row, and summaries are merged in two levels; nothing else
+of a text is ever shuffled. Tier two is a
 worker's own bounded cache, in which units that tier one misses are encoded once. Both
 tiers change speed only; every count is the tokenizer's.
 """
@@ -17,7 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import only, raw_bytes, small_batches, texts_of
+from .common import only, raw_bytes, small_batches, texts_of, tidy
+from .packed import squeeze, unsqueeze
 from .unit_encoder import SLICE, UnitEncoder, slices
 
 FREQUENT = 16_384
@@ -36,16 +38,48 @@ def _summaries(path: str, style: str):
                     counts[unit] += n
                 if len(counts) > COUNTER:
                     counts = Counter(dict(counts.most_common(COUNTER // 2)))
-        top = [(u, n) for u, n in counts.most_common(SUMMARY) if len(u) <= 64]
-        yield pa.RecordBatch.from_arrays([pa.array([u for u, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], ["unit", "n"])
+        yield _packed(counts, SUMMARY)
+        tidy()
+
+    return run
+
+
+def _packed(counts: Counter, most: int) -> pa.RecordBatch:
+    """The heaviest units and their counts as one row."""
+    top = [(u, n) for u, n in sorted(counts.items(), key=lambda x: (-x[1], x[0]))[:most] if len(u) <= 64]
+    sizes = np.array([len(u) for u, _ in top], np.uint32)
+    blob = squeeze(np.frombuffer(b"".join(u for u, _ in top), np.uint8), sizes, np.array([n for _, n in top], np.int64))
+    return pa.RecordBatch.from_arrays([pa.array([blob], pa.binary())], ["units"])
+
+
+def _unpacked(blob: bytes) -> list[tuple[bytes, int]]:
+    raw, sizes, n = unsqueeze(blob)
+    data, ends = raw.tobytes(), np.cumsum(sizes).tolist()
+    return [(data[b - s : b], k) for b, s, k in zip(ends, sizes.tolist(), n.tolist(), strict=True)]
+
+
+def _merged(most: int):
+    def run(batches):
+        counts: Counter = Counter()
+        for batch in batches:
+            for blob in batch.column(0).to_pylist():
+                counts.update(dict(_unpacked(blob)))
+        if counts:
+            yield _packed(counts, most)
 
     return run
 
 
 def frequent_units(docs: DataFrame, path: str, style: str, most: int = FREQUENT) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes, checks and token lengths of the corpus's heaviest units; at most ``most`` reach the driver."""
-    summed = only(docs, "text").mapInArrow(_summaries(path, style), "unit binary, n long").groupBy("unit").agg(F.sum("n").alias("n"))
-    top = [bytes(r.unit) for r in summed.orderBy(F.desc("n"), "unit").limit(most).select("unit").collect()]
+    """Hashes, checks and token lengths of the corpus's heaviest units; at most ``most`` reach the driver.
+
+    Each task sends its summary as one row; the rows are merged in two levels, of about the
+    square root of the tasks each, and a merge passes on four times ``most`` units.
+    """
+    told = only(docs, "text").mapInArrow(_summaries(path, style), "units binary")
+    some = told.repartition(max(1, int(docs.rdd.getNumPartitions() ** 0.5))).mapInArrow(_merged(4 * most), "units binary")
+    got = some.coalesce(1).mapInArrow(_merged(most), "units binary").first()
+    top = [u for u, _ in _unpacked(got[0])] if got else []
     encoder = UnitEncoder(path, style, counts_only=True)
     encoder.encode(*raw_bytes(pa.array(top, pa.binary())))
     return encoder.known_units()
@@ -67,6 +101,7 @@ def token_counts(docs: DataFrame, path: str, limit: int = 2048, style: str = "wo
             data, offs = raw_bytes(texts_of(batch.column(1)))
             n = [counts for _, _, counts in encoder.encode_rows(data, offs)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.diff(offs)), pa.array(np.concatenate(n) if n else np.zeros(0, np.int64))], ["doc_id", "n_bytes", "n_tokens"])
+        tidy()
 
     ids = docs.schema["doc_id"].dataType.simpleString()
     counted = only(docs, "doc_id", "text").mapInArrow(count, f"doc_id {ids}, n_bytes long, n_tokens long")
