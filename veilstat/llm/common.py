@@ -118,7 +118,7 @@ def raw_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(data, dtype=np.uint8)[offs[0] : offs[-1]], offs - offs[0]
 
 
-def slices(offsets: np.ndarray, most: int = 1 << 21) -> Iterator[tuple[int, int]]:
+def slices(offsets: np.ndarray, most: int = 1 << 20) -> Iterator[tuple[int, int]]:
     """Row ranges of at most ``most`` bytes each, or of one longer row."""
     at, n = 0, len(offsets) - 1
     while at < n:
@@ -129,7 +129,7 @@ def slices(offsets: np.ndarray, most: int = 1 << 21) -> Iterator[tuple[int, int]
 
 
 def text_slices(batch: pa.RecordBatch, text: str = "text") -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
-    """(rows, their bytes, their offsets) for pieces of a batch of about 2 MB of text."""
+    """(rows, their bytes, their offsets) for pieces of a batch of about 1 MB of text."""
     column = texts_of(batch.column(text))
     data, offs = raw_bytes(column)
     for a, b in slices(offs):

@@ -29,7 +29,7 @@ from .textkernel import _IS_WORD, _LOWER, _STEP, _places, mix, stream
 UNITS = 1_000_000
 RECENT = 120_000
 #: Bytes of text that are looked up at once.
-SLICE = 1 << 22
+SLICE = 1 << 20
 
 _ALL = stream(256, 11)
 _WORD_ONLY = _ALL.copy()
