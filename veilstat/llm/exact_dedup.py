@@ -108,6 +108,10 @@ PRINT = ["n_bytes", "h1", "h2", "h3", "h4"]
 _HASHES = ", ".join(f"{c} long" for c in PRINT)
 
 
+def _key() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit(""))).alias("key")
+
+
 def _same_row(a: DataFrame, b: DataFrame) -> Column:
     """Rows of one id and text hash; null ids match each other."""
     return a.doc_id.eqNullSafe(b.doc_id) & (a.key == b.key)
@@ -116,14 +120,14 @@ def _same_row(a: DataFrame, b: DataFrame) -> Column:
 def fingerprints(docs: DataFrame, prime: int = PRIME, chunk: int = CHUNK) -> DataFrame:
     """doc_id, text_sha256, key and the fingerprint of every row's normalised text (a staged table).
 
-    ``key`` tells the texts of one id apart. Texts of up to ``chunk`` bytes are hashed where
+    ``key`` tells the texts of one id apart, before they are normalised. Texts of up to ``chunk`` bytes are hashed where
     they are read. Longer ones leave as rows of a chunk each, which are hashed in as many
     tasks as there are and combined.
     """
     small_batches(docs.sparkSession)
     ids = docs.schema["doc_id"].dataType.simpleString()
     text = normalised(F.col("text")).alias("text")
-    rows = docs.select("doc_id", text).select("doc_id", "text", F.sha2("text", 256).alias("text_sha256"), F.xxhash64("text").alias("key"))
+    rows = docs.select("doc_id", text, _key()).select("doc_id", "text", F.sha2("text", 256).alias("text_sha256"), "key")
     names = ["doc_id", "text_sha256", "key", *PRINT, "start", "chunk"]
 
     def run(batches):
@@ -168,14 +172,14 @@ def differing(docs: DataFrame, prints: DataFrame, chunk: int = CHUNK) -> DataFra
     text. Members of a group are dealt over shares of about ``GROUP_SHARE`` rows, and the
     first text is sent to each share, so that a group with a third of all rows spreads out.
     """
-    groups = prints.groupBy(*PRINT).agg(F.count("*").alias("n"), F.min(F.struct(F.isnull("doc_id").alias("late"), "doc_id", "key")).alias("first")).where("n > 1")
-    groups = groups.withColumn("shares", F.ceil(F.col("n") / GROUP_SHARE).cast("long"))
+    groups = prints.groupBy(*PRINT).agg(F.count("*").alias("n")).where("n > 1").withColumn("shares", F.ceil(F.col("n") / GROUP_SHARE).cast("long"))
     # Only rows in groups of two or more carry their text on; rows of one id and text hash are looked up once.
-    firsts = F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("key") == F.col("first.key"))
-    members = prints.join(groups, PRINT).select("doc_id", "key", *PRINT, "shares", firsts.alias("is_first")).distinct()
-    members = stage(members, "group-members")
-    texts = docs.select("doc_id", normalised(F.col("text")).alias("text")).withColumn("key", F.xxhash64("text"))
-    found = texts.join(sized(members), _same_row(texts, members)).select(members.doc_id, members.key, *PRINT, "shares", "is_first", F.encode("text", "UTF-8").alias("raw"))
+    members = stage(prints.join(groups, PRINT).select("doc_id", "key", *PRINT, "shares").distinct(), "group-members")
+    lead = members.groupBy(*PRINT).agg(F.min(F.struct(F.isnull("doc_id").alias("late"), "doc_id", "key")).alias("lead"))
+    is_first = F.col("doc_id").eqNullSafe(F.col("lead.doc_id")) & (F.col("key") == F.col("lead.key"))
+    members = stage(members.join(lead, PRINT).select("doc_id", "key", *PRINT, "shares", is_first.alias("is_first")), "group-members")
+    texts = docs.select("doc_id", "text", _key())
+    found = texts.join(sized(members), _same_row(texts, members)).select(members.doc_id, members.key, *PRINT, "shares", "is_first", F.encode(normalised(F.col("text")), "UTF-8").alias("raw"))
     number = F.explode(F.sequence(F.lit(0).cast("long"), F.greatest(F.lit(0), F.floor((F.col("n_bytes") - 1) / chunk)))).alias("number")
     chunks = found.select("*", number).withColumn("chunk", F.expr(f"substring(raw, cast(number * {chunk} + 1 as int), {chunk})")).drop("raw")
     first = chunks.where("is_first").select(*PRINT, "number", F.col("chunk").alias("first_chunk"), F.explode(F.sequence(F.lit(0).cast("long"), F.col("shares") - 1)).alias("share")).dropDuplicates([*PRINT, "number", "share"])
@@ -200,15 +204,18 @@ def exact_groups(docs: DataFrame, prime: int = PRIME, chunk: int = CHUNK) -> Dat
     groups = keyed.groupBy(*by).agg(F.min("doc_id").alias("keep_id"), F.count("*").alias("group_size"))
     groups = stage(groups.where("group_size > 1"), "groups")
 
-    def told(rows: DataFrame, group: DataFrame) -> DataFrame:
-        alone = F.col("group_size").isNull()
-        keep = F.when(alone, F.col("doc_id")).otherwise(F.col("keep_id"))
-        kept = F.coalesce(F.col("doc_id") == keep, keep.isNull())
-        return rows.join(group, by, "left").select("doc_id", keep.alias("keep_id"), F.coalesce("group_size", F.lit(1).cast("long")).alias("group_size"), kept.alias("kept"), "text_sha256")
-
+    # Few groups are large: those are sent to their rows, which a salt then deals over all tasks.
     hot = groups.where(F.col("group_size") >= HOT)
     sent = sized(hot, None)
-    if sent is hot:  # too many to be sent: the join splits them as it finds them
-        return told(keyed, groups)
-    at_hot = keyed.join(sent.select(*by, F.lit(True).alias("is_hot")), by, "left")
-    return told(at_hot.where("is_hot"), sent).unionByName(told(at_hot.where("is_hot IS NULL").drop("is_hot"), groups.where(F.col("group_size") < HOT)))
+    many = sent is hot  # too many to be sent: the join splits them as it finds them
+    salt = F.lit(0).cast("long").alias("salt")
+    if not many:
+        sent = sent.select(*by, F.col("keep_id").alias("hot_id"), F.col("group_size").alias("hot_size"))
+        keyed = keyed.join(sent, by, "left").withColumn("salt", F.when(F.col("hot_size").isNotNull(), 1 + F.pmod(F.xxhash64("doc_id", "text_sha256"), F.lit(1 << 20))).otherwise(F.lit(0)).cast("long"))
+        groups = groups.where(F.col("group_size") < HOT)
+    else:
+        keyed = keyed.select("*", F.lit(None).cast("long").alias("hot_size"), F.col("doc_id").alias("hot_id"), salt)
+    out = keyed.join(groups.select("*", salt), [*by, "salt"], "left")
+    size = F.coalesce("hot_size", "group_size", F.lit(1).cast("long"))
+    keep = F.when(F.col("hot_size").isNotNull(), F.col("hot_id")).when(F.col("group_size").isNotNull(), F.col("keep_id")).otherwise(F.col("doc_id"))
+    return out.select("doc_id", keep.alias("keep_id"), size.alias("group_size"), F.coalesce(F.col("doc_id") == keep, keep.isNull()).alias("kept"), "text_sha256")
