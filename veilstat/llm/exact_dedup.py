@@ -173,8 +173,9 @@ def differing(docs: DataFrame, prints: DataFrame, chunk: int = CHUNK) -> DataFra
     first text is sent to each share, so that a group with a third of all rows spreads out.
     """
     groups = prints.groupBy(*PRINT).agg(F.count("*").alias("n")).where("n > 1").withColumn("shares", F.ceil(F.col("n") / GROUP_SHARE).cast("long"))
+    groups = stage(groups.drop("n"), "groups")
     # Only rows in groups of two or more carry their text on; rows of one id and text hash are looked up once.
-    members = stage(prints.join(groups, PRINT).select("doc_id", "key", *PRINT, "shares").distinct(), "group-members")
+    members = stage(prints.join(sized(groups, None), PRINT).select("doc_id", "key", *PRINT, "shares").distinct(), "group-members")
     lead = members.groupBy(*PRINT).agg(F.min(F.struct(F.isnull("doc_id").alias("late"), "doc_id", "key")).alias("lead"))
     is_first = F.col("doc_id").eqNullSafe(F.col("lead.doc_id")) & (F.col("key") == F.col("lead.key"))
     members = stage(members.join(lead, PRINT).select("doc_id", "key", *PRINT, "shares", is_first.alias("is_first")), "group-members")
