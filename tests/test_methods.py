@@ -160,7 +160,7 @@ def test_private_tree_beats_nothing(spark):
     e = T.all_pairs_entropy(P.PrivateSource(pool, 2, 4.0, pool.slots // 24), 6)
     exact = T.all_pairs_entropy(Q.source(spark, SF, W.TREE6), 6)
     assert abs(e.entropy - exact.entropy) < 0.35
-    assert contacted_twice(pool.ledger(2, 2, 4.0)).isEmpty()
+    assert contacted_twice(pool.ledger()).isEmpty()
 
 
 def test_pool_exhausted_and_disjoint(spark):

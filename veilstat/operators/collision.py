@@ -5,15 +5,18 @@ with a chance that gives alpha-local privacy, else report at random. The rate of
 reports, corrected for chance and noise, is the collision probability; Gini entropy is one
 minus it and collision entropy its negative logarithm.
 
-Only (pair, report) crosses the shuffle. The server adds up two counters.
+With ``pairing="permute"`` only (pair, report) crosses the shuffle; bucket ranks shuffle ids and
+values, as the salt is known only once the ranks are. The server adds up two counters.
 """
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.coins import hash_bits, symbol, uniform
+from ..functions.coins import SPAN, hash_bits, symbol, uniform
 from ..functions.scalars import keep_rate, tidy
 
 BUCKET = 1024
@@ -41,19 +44,52 @@ def assign_pairs(df: DataFrame, id_col: str, public: str, by: list[str] = (), pa
         return df.withColumn("idx", F.floor((F.row_number().over(order) - 1) / 2).cast("long"))
     n = rows if rows is not None else df.count()
     if pairing == "permute":
-        a = next(a for a in range(max(3, int(n * 0.618) | 1), 2 * n + 5, 2) if _coprime(a, n))
-        place = F.pmod(F.col(id_col).cast("decimal(38,0)") * F.lit(a) + F.lit(12345), F.lit(max(n, 1))).cast("long")
+        df = df.withColumn("place", permuted(F.col(id_col).cast("long"), max(n, 1), public)).where("place IS NOT NULL")
     elif pairing == "adjacent":
-        place = F.col(id_col).cast("long")
+        df = df.withColumn("place", F.col(id_col).cast("long"))
     else:
         raise ValueError(f"no pairing named {pairing}")
-    return df.withColumn("bucket", F.lit(0).cast("long")).withColumn("idx", F.floor(place / 2).cast("long"))
+    return df.select("*", F.lit(0).cast("long").alias("bucket"), F.floor(F.col("place") / 2).cast("long").alias("idx")).drop("place")
+
+
+#: Rounds of the keyed permutation, and how often a place outside the range is put through it again.
+ROUNDS, WALKS = 4, 4
+
+
+def sides(n: int) -> tuple[int, int]:
+    """Two sides of a rectangle of n places or a few more."""
+    a = math.isqrt(max(n - 1, 0)) + 1
+    return a, -(-n // a)
+
+
+def permuted(x: Column, n: int, public: str) -> Column:
+    """Places 0..n-1 of ids 0..n-1 under a permutation that the public seed keys.
+
+    An id is a cell of a rectangle that has at most sqrt(n) cells more than ids; rounds shift
+    the row by a coin of the column and the column by a coin of the row, in turns. A cell
+    beyond the ids goes through the rounds again; one id in about n^2 is still outside after
+    WALKS of them and has no place (null). An id outside 0..n-1 is an error. The rounds are
+    a fold, as a nested expression would double with every step.
+    """
+    a, b = sides(n)
+    x = F.when((x >= 0) & (x < n), x).otherwise(F.raise_error(F.lit("ids must be 0 to n - 1")).cast("long"))
+
+    def shift(name: str, r: Column, of: Column, side: int) -> Column:
+        word = F.md5(F.concat_ws("|", F.lit(public), F.concat(F.lit(name), r.cast("string")), of.cast("string")))
+        return F.floor(F.conv(F.substring(word, 1, 8), 16, 10).cast("double") / F.lit(SPAN) * side).cast("long")
 
+    def step(s: Column, t: Column) -> Column:
+        r = t % ROUNDS
+        moved = s["y"] * b + s["x"]
+        row = F.struct(((s["y"] + shift("row", r, s["x"], a)) % a).alias("y"), s["x"].alias("x"), s["place"].alias("place"))
+        column = F.struct(s["y"].alias("y"), ((s["x"] + shift("column", r - 1, s["y"], b)) % b).alias("x"), s["place"].alias("place"))
+        # A third kind of step ends a walk: it takes the cell as the place.
+        return F.when(s["place"] < n, s).when(t < 0, F.struct(s["y"].alias("y"), s["x"].alias("x"), moved.alias("place"))).when(r % 2 == 0, row).otherwise(column)
 
-def _coprime(a: int, b: int) -> bool:
-    while b:
-        a, b = b, a % b
-    return a == 1
+    steps = [t for _ in range(WALKS) for t in (*range(ROUNDS), -1)]
+    start = F.struct(F.floor(x / b).cast("long").alias("y"), (x % b).cast("long").alias("x"), F.lit(n).cast("long").alias("place"))
+    place = F.aggregate(F.array(*[F.lit(t) for t in steps]), start, step, lambda s: s["place"])
+    return F.when(place < n, place)
 
 
 def reports(df: DataFrame, id_col: str, cols: list[str], b: int, alpha: float | None, public: str, private: str, keep: list[str] = ()) -> DataFrame:
@@ -126,27 +162,32 @@ def raw_pairs(df: DataFrame, id_col: str, cols: list[str], public: str = "pub",
 def pairs_within_task(df: DataFrame, id_col: str, cols: list[str], b: int = 1, alpha: float | None = None, public: str = "pub", private: str = "noise") -> DataFrame:
     """Pairs formed inside a task in coin order: no shuffle of users at all, two counters a task.
 
-    Valid where an input partition is no cluster of equal values.
+    Rows are sorted by coin within their partition and neighbours form pairs, whose salt is
+    the first one's id; hashes and noise are expressions. Valid where an input partition is
+    no cluster of equal values.
     """
+    import numpy as np
     import pyarrow as pa
 
     size = 1 << b
-    coins = df.select(uniform(public, "rank", F.col(id_col)).alias("u"), F.col(id_col).cast("string").alias("id"), value_of(cols).alias("v"))
-    keep = keep_rate(alpha, b)
-    private_coin = uniform(private, "keep", F.col("id"))
-    noise = F.floor(uniform(private, "draw", F.col("id")) * F.lit(size)).cast("int")
-    coins = coins.select("u", "id", "v", (private_coin < F.lit(keep)).alias("kept"), noise.alias("noise"))
-
-    def count(batches):
-        import hashlib
-
-        rows = [r for batch in batches for r in batch.to_pylist()]
-        rows.sort(key=lambda r: (r["u"], r["id"]))
-        pairs = hits = 0
-        for x, y in zip(rows[0::2], rows[1::2], strict=False):
-            got = [(int(hashlib.md5(f"{public}|{x['id']}|{r['v']}".encode()).hexdigest()[:8], 16) % size) if r["kept"] else r["noise"] for r in (x, y)]
-            pairs, hits = pairs + 1, hits + (got[0] == got[1])
-        yield pa.RecordBatch.from_arrays([pa.array([pairs]), pa.array([hits])], ["n_pairs", "hits"])
-
-    counted = coins.mapInArrow(count, "n_pairs long, hits long").agg(F.sum("n_pairs").alias("n_pairs"), F.sum("hits").alias("hits"))
+    value = value_of(cols)
+    sorted_rows = df.select(uniform(public, "rank", F.col(id_col)).alias("u"), F.col(id_col).cast("string").alias("id"), value.alias("v")).sortWithinPartitions("u", "id")
+
+    def pair(batches):  # (first, second) neighbours; an odd one waits for the next batch
+        held = None
+        for batch in batches:
+            table = pa.Table.from_batches([batch] if held is None else [held, batch]).combine_chunks()
+            n = table.num_rows // 2
+            first, second = table.take(np.arange(0, 2 * n, 2)), table.take(np.arange(1, 2 * n, 2))
+            rest = table.slice(2 * n).to_batches()
+            held = rest[0] if rest else None
+            yield from pa.table([first["id"], first["v"], second["id"], second["v"]], names=["id", "v", "id2", "v2"]).to_batches()
+
+    pairs = sorted_rows.select("id", "v").mapInArrow(pair, "id string, v string, id2 string, v2 string")
+
+    def report(who: str, v: str) -> Column:
+        salted = hash_bits(public, b, F.col("id"), F.col(v))
+        return F.when(F.expr("true") if alpha is None else uniform(private, "keep", F.col(who)) < F.lit(keep_rate(alpha, b)), salted).otherwise(F.floor(uniform(private, "draw", F.col(who)) * F.lit(size)).cast("int"))
+
+    counted = pairs.agg(F.count("*").alias("n_pairs"), F.coalesce(F.sum((report("id", "v") == report("id2", "v2")).cast("long")), F.lit(0)).alias("hits"))
     return debias(counted, b, alpha)

@@ -33,6 +33,10 @@ class Batch:
     start: int
     width: int
     questions: list = field(default_factory=list)
+    #: What each contacted user shows and sends, as the mechanism says: coordinates, bits, privacy.
+    observed: int = 0
+    bits: int = 0
+    alpha: float | None = None
 
     @property
     def end(self) -> int:
@@ -62,8 +66,19 @@ class UserPool:
         pool.buckets = buckets
         return pool
 
-    def allot(self, questions: list, width: int) -> tuple[Batch, DataFrame]:
-        batch = Batch(len(self.batches) + 1, self.next, width, list(questions))
+    def size(self) -> int:
+        """Users of the pool, counted once."""
+        if not hasattr(self, "_size"):
+            self._size = self.users.count()
+        return self._size
+
+    def expected(self, width: int) -> float:
+        """Users that a slot range of ``width`` holds on average."""
+        return self.size() * width / self.slots
+
+    def allot(self, questions: list, width: int, observed: int = 0, bits: int = 0, alpha: float | None = None) -> tuple[Batch, DataFrame]:
+        """The next slot ranges, and their users with ``query_id``; the mechanism says what it takes from each user."""
+        batch = Batch(len(self.batches) + 1, self.next, width, list(questions), observed, bits, alpha)
         if batch.end > self.slots:
             raise PoolExhausted(f"{batch.end} slots wanted of {self.slots}")
         self.next = batch.end
@@ -73,13 +88,18 @@ class UserPool:
             rows = rows.where(F.col("slot_bucket").between(batch.start * buckets // self.slots, (batch.end - 1) * buckets // self.slots))
         return batch, rows.withColumn("query_id", batch.number())
 
-    def ledger(self, width: int, bits: int, alpha: float | None) -> DataFrame:
-        """user_id, round, query_id, width, bits, alpha of everyone contacted."""
-        parts = [self.users.where(F.col("slot").between(b.start, b.end - 1)).select("user_id", F.lit(b.round).alias("round"), b.number().alias("query_id")) for b in self.batches]
+    def ledger(self) -> DataFrame:
+        """user_id, round, query_id, width, bits, alpha of everyone contacted, as the mechanisms declared them."""
+        parts = [
+            self.users.where(F.col("slot").between(b.start, b.end - 1)).select(
+                "user_id", F.lit(b.round).alias("round"), b.number().alias("query_id"), F.lit(b.observed).alias("width"), F.lit(b.bits).alias("bits"), F.lit(b.alpha).cast("double").alias("alpha")
+            )
+            for b in self.batches
+        ]
         out = parts[0]
         for p in parts[1:]:
             out = out.unionByName(p)
-        return out.select("*", F.lit(width).alias("width"), F.lit(bits).alias("bits"), F.lit(alpha).cast("double").alias("alpha"))
+        return out
 
 
 def contacted_twice(ledger: DataFrame) -> DataFrame:

@@ -27,7 +27,7 @@ def pairs_sql(users: str, id_: str, by: str = "", public: str = "pub") -> str:
       p AS (SELECT *, CAST(floor((row_number() OVER (PARTITION BY {g}bucket ORDER BY {coin(public, 'rank', id_)}, {id_}) - 1) / 2) AS BIGINT) AS idx FROM b)"""
 
 
-def sketch_sql(users: str, id_: str, value: str, b: int, alpha: float | None, by: str = "", tail: str = "") -> str:
+def sketch_sql(users: str, id_: str, value: str, b: int, alpha: float | None, by: str = "", tail: str = "", pairing: str = "") -> str:
     size, lam = 1 << b, keep_rate(alpha, b)
     h = hash_bits("pub", b, "concat_ws(':', bucket, idx)", value)
     if alpha is not None:
@@ -36,7 +36,7 @@ def sketch_sql(users: str, id_: str, value: str, b: int, alpha: float | None, by
     raw = f"(({size} * (hits::DOUBLE / n_pairs) - 1) / {lam * lam * (size - 1)!r}::DOUBLE)"
     p2 = f"least(greatest({raw}, 1.0::DOUBLE / greatest(n_pairs, 1)), 1.0::DOUBLE)"
     err = f"({size / (lam * lam * (size - 1))!r}::DOUBLE * sqrt(hits::DOUBLE / n_pairs * (1 - hits::DOUBLE / n_pairs) / n_pairs))"
-    return f"""WITH {pairs_sql(users, id_, by)},
+    return f"""WITH {pairing or pairs_sql(users, id_, by)},
       r AS (SELECT {g}bucket, idx, {h} AS report FROM p),
       m AS (SELECT {g}bucket, idx, min(report) AS lo, max(report) AS hi FROM r GROUP BY {g}bucket, idx HAVING count(*) = 2),
       c AS (SELECT {g}count(*) AS n_pairs, CAST(sum(CASE WHEN lo = hi THEN 1 ELSE 0 END) AS BIGINT) AS hits FROM m {f'GROUP BY {by}' if by else ''})
@@ -106,19 +106,41 @@ def pair_within_task(spark, d):
     return C.pairs_within_task(line_users(spark, d, "l_returnflag"), "user_id", ["l_returnflag"])
 
 
-@query("hash_gini_permuted")
+def permuted_sql(users: str, id_: str) -> str:
+    """users with bucket and idx of the keyed permutation of ids 0..n-1."""
+    steps, last = [f"u0 AS (SELECT *, (SELECT count(*) FROM ({users})) AS n, CAST({id_} AS BIGINT) AS place FROM ({users}))", "s0 AS (SELECT *, CAST(ceil(sqrt(n)) AS BIGINT) AS a, CAST(ceil(n / ceil(sqrt(n))) AS BIGINT) AS b FROM u0)"], "s0"
+    for walk in range(C.WALKS):
+        steps.append(f"w{walk} AS (SELECT *, place // b AS y, place % b AS x FROM {last})")
+        last = f"w{walk}"
+        for r in range(0, C.ROUNDS, 2):
+            steps.append(f"y{walk}_{r} AS (SELECT * REPLACE ((y + CAST(floor({coin('pub', f'row{r}', 'x')} * a) AS BIGINT)) % a AS y) FROM {last})")
+            steps.append(f"x{walk}_{r} AS (SELECT * REPLACE ((x + CAST(floor({coin('pub', f'column{r}', 'y')} * b) AS BIGINT)) % b AS x) FROM y{walk}_{r})")
+            last = f"x{walk}_{r}"
+        moved = "y * b + x" if not walk else "CASE WHEN place >= n THEN y * b + x ELSE place END"
+        steps.append(f"s{walk + 1} AS (SELECT * EXCLUDE (y, x) REPLACE ({moved} AS place) FROM {last})")
+        last = f"s{walk + 1}"
+    return ", ".join(steps) + f", p AS (SELECT *, 0::BIGINT AS bucket, place // 2 AS idx FROM {last} WHERE place < n)"
+
+
+@query("hash_gini_permuted", sketch_sql("SELECT event_id, event_type FROM events", "event_id", symbols("event_type"), 1, None, pairing=permuted_sql("SELECT event_id, event_type FROM events", "event_id")))
 def hash_gini_permuted(spark, d):
-    """Pairs by a keyed bijection of dense ids: only (pair, report) is shuffled."""
+    """Pairs by a keyed permutation of dense ids: only (pair, report) is shuffled."""
     df = load(spark, d, "events", "event_id", "event_type")
     return C.collision_sketch(df, "event_id", ["event_type"], pairing="permute")
 
 
-@query("hash_gini_boosted")
+_BATCHED = f"SELECT *, CAST(floor({coin('pub', 'batch', 'user_id')} * 5) AS INT) AS batch FROM ({_LINES})"
+
+
+@query("hash_gini_boosted", f"SELECT CAST(sum(n_pairs) AS BIGINT) AS n_pairs, {tidy('quantile_cont(gini, 0.5)')} AS gini FROM ({sketch_sql(_BATCHED, 'user_id', symbols('l_linestatus'), 1, None, 'batch')})")
 def hash_gini_boosted(spark, d):
     return C.boosted(line_users(spark, d, "l_linestatus"), "user_id", ["l_linestatus"], 5)
 
 
-@query("hash_gini_as_printed")
+_PRINTED = sketch_sql(_EXP, "user_id", symbols("x"), 1, None)
+
+
+@query("hash_gini_as_printed", f"SELECT n_pairs, hits, p2_raw, {tidy('(2 * (hits::DOUBLE / n_pairs) - 1)')} AS gini, {tidy('-ln(1 - (2 * (hits::DOUBLE / n_pairs) - 1))')} AS collision, stderr, clamped FROM ({_PRINTED})")
 def hash_gini_as_printed(spark, d):
     """The uncorrected form, for ablation: it estimates the collision probability, not the Gini entropy."""
     return C.collision_sketch(exponential_users(spark, d), "user_id", ["x"], as_printed=True)

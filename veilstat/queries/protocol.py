@@ -33,33 +33,50 @@ def slot_allotment(spark, d):
 
 
 def _asked(spark, d):
-    users = load(spark, d, "orders", "o_orderkey").select(F.col("o_orderkey").alias("user_id"), slot("o_orderkey", "pub", 1000).alias("slot"))
+    """A pool after a run of the mechanisms: four marginals, three pairs, four triples, forty slots each."""
+    o = load(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderstatus", "o_orderpriority")
+    bits = [F.col("o_orderstatus") == "O", F.col("o_orderpriority") < "3", F.col("o_custkey") % 2 == 0, F.col("o_custkey") % 3 == 0]
+    users = o.select(F.col("o_orderkey").alias("user_id"), slot("o_orderkey", "pub", 1000).alias("slot"), F.array(*[b.cast("int") for b in bits]).alias("x"))
     pool = UserPool(users, 1000)
-    for questions in (4, 3, 5):
-        pool.allot(list(range(questions)), 40)
+    source = P.PrivateSource(pool, 2, 1.0, 40)
+    source.marginals([0, 1, 2, 3])
+    source.mi([(0, 1), (0, 2), (1, 3)])
+    source.cmi([(0, 1, 2), (0, 1, 3), (0, 2, 3), (1, 2, 3)])
     return pool
 
 
-@query("ledger_contact_once", f"SELECT count(*) AS contacted, 0::BIGINT AS twice FROM orders WHERE {_SLOT} < 480")
+_TAKEN = f"asked AS (SELECT o_orderkey, CASE WHEN {_SLOT} < 160 THEN 1 WHEN {_SLOT} < 280 THEN 2 ELSE 3 END AS arity, {_SLOT} // 40 AS question FROM orders WHERE {_SLOT} < 440)"
+
+
+@query("ledger_contact_once", f"WITH {_TAKEN}, t AS (SELECT o_orderkey, count(*) AS times FROM asked GROUP BY 1) SELECT CAST(sum(times) AS BIGINT) AS contacted, count(*) FILTER (WHERE times > 1) AS twice FROM t")
 def ledger_contact_once(spark, d):
-    ledger = _asked(spark, d).ledger(2, 2, 1.0)
+    ledger = _asked(spark, d).ledger()
     return ledger.agg(F.count("*").alias("contacted")).crossJoin(contacted_twice(ledger).agg(F.count("*").alias("twice")))
 
 
-_CRIT = f"SELECT count(*) AS samples, 3::BIGINT AS rounds, 12::BIGINT AS queries, 2::BIGINT AS max_bits, 2 * count(*) AS total_bits, 2::BIGINT AS max_width, 1.0::DOUBLE AS alpha FROM orders WHERE {_SLOT} < 480"
+#: A report over 2^arity cells by randomised response takes as many bits as coordinates.
+_CRIT = f"WITH {_TAKEN} SELECT count(*) AS samples, count(DISTINCT arity) AS rounds, count(DISTINCT question) AS queries, CAST(max(arity) AS BIGINT) AS max_bits, CAST(sum(arity) AS BIGINT) AS total_bits, CAST(max(arity) AS BIGINT) AS max_width, 1.0::DOUBLE AS alpha FROM asked"
 
 
 @query("criteria_report", _CRIT)
 def criteria_report(spark, d):
-    return criteria(_asked(spark, d).ledger(2, 2, 1.0))
+    """Every measure of a run, from what the mechanisms entered in the ledger."""
+    return criteria(_asked(spark, d).ledger())
+
+
+_ROUNDS = f"WITH {_TAKEN} SELECT CAST(arity AS INT) AS round, count(*) AS users, count(DISTINCT question) AS queries, CAST(arity AS INT) AS bits, CAST(arity AS INT) AS width FROM asked GROUP BY arity"
+
+
+def _by_round(spark, d):
+    return _asked(spark, d).ledger().groupBy("round").agg(F.count("*").alias("users"), F.countDistinct("query_id").alias("queries"), F.max("bits").alias("bits"), F.max("width").alias("width"))
 
 
-for _name, _cols in (("cost_samples", ["samples"]), ("cost_bits", ["max_bits", "total_bits"]), ("cost_rounds", ["rounds", "queries"]), ("cost_width", ["max_width"])):
+for _name, _cols in (("cost_samples", ["round", "users"]), ("cost_bits", ["round", "users", "bits"]), ("cost_rounds", ["round", "queries"]), ("cost_width", ["round", "width"])):
 
     def _one(spark, d, cols=tuple(_cols)):
-        return criteria_report(spark, d).select(*cols)
+        return _by_round(spark, d).select(*cols)
 
-    query(_name, f"SELECT {', '.join(_cols)} FROM ({_CRIT})")(_one)
+    query(_name, f"SELECT {', '.join(_cols)} FROM ({_ROUNDS})")(_one)
 
 # Small alphabets: l_returnflag as codes A, N, R
 

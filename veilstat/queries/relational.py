@@ -16,19 +16,11 @@ from ..operators.collision import assign_pairs, reports
 from ..operators.protocol import slot
 from ..registry import query
 from ..sources import domains
-from ..sources.tables import line_users, load, load_any, range_users, register_views
+from ..sources.tables import line_users, load, load_any, range_users, register_views, scratch
 from .collision import pairs_sql, symbols
 from .sqltext import KEY, coin, counts, h, hash_bits, p2, tidy
 
 
-def scratch(spark) -> str:
-    """A folder in spark.checkpoint.dir, which tasks share; a temporary one where it is unset, as in local runs."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or (tempfile.gettempdir() if spark.sparkContext.master.startswith("local[") else None)
-    if not shared:
-        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-    return f"{shared}/veilstat-{uuid.uuid4().hex}"
-
-
 # Scans, sources
 
 
