@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import math
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -118,6 +120,12 @@ class ClosedForm:
         return {q: pair_information([max(x, 0.0) for x in joint(self.p[q[0]], self.p[q[1]], self.corr[q])], 2) for q in pairs}
 
 
+def conditional(a: float, b: float, r: float) -> tuple[float, float]:
+    """Chances of 1 of a child with chance b, given that its parent with chance a is 0 or 1."""
+    cells = joint(a, b, r)
+    return cells[1] / (1 - a) if a < 1 else 0.0, cells[3] / a if a > 0 else 0.0
+
+
 def tree_vectors(users: DataFrame, rows: list[dict], seed: str = "w1") -> DataFrame:
     """user_id, x: each variable from its parent by the conditional of their joint."""
     p = {t["node"]: t["p"] for t in rows}
@@ -128,9 +136,62 @@ def tree_vectors(users: DataFrame, rows: list[dict], seed: str = "w1") -> DataFr
         if parent < 0:
             one = coin < F.lit(p[i])
         else:
-            cells = joint(p[parent], p[i], t["r"])
-            zero = cells[1] / (1 - p[parent]) if p[parent] < 1 else 0.0
-            full = cells[3] / p[parent] if p[parent] > 0 else 0.0
+            zero, full = conditional(p[parent], p[i], t["r"])
             one = coin < F.when(F.col(f"v{parent}") == 1, F.lit(full)).otherwise(F.lit(zero))
         df = df.withColumn(f"v{i}", F.when(one, 1).otherwise(0))
     return packed(df, len(rows))
+
+
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+
+
+def _coins(base: np.ndarray, i: int) -> np.ndarray:
+    """Coins in [0, 1) of users with a 64-bit hash each, for variable i: a counter-based generator."""
+    with np.errstate(over="ignore"):
+        x = base + np.uint64(i + 1) * _STEP
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        x = x ^ (x >> np.uint64(31))
+    return (x >> np.uint64(11)).astype(np.float64) / float(1 << 53)
+
+
+def _sampled(users: DataFrame, d: int, seed: str, fill) -> DataFrame:
+    """user_id, x with the coins of many variables drawn in batches; ``fill(x, base)`` writes x[:, i]."""
+    keyed = users.select("user_id", F.xxhash64(F.lit(seed), F.col("user_id").cast("string")).alias("base"))
+    kind = keyed.schema["user_id"].dataType.simpleString()
+
+    def run(batches):
+        for batch in batches:
+            base = batch.column(1).to_numpy().view(np.uint64)
+            x = np.zeros((len(base), d), np.int32)
+            fill(x, base)
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, d, dtype=np.int32)), pa.array(x.ravel()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), lists], ["user_id", "x"])
+
+    return keyed.mapInArrow(run, f"user_id {kind}, x array<int>")
+
+
+def sampled_vectors(users: DataFrame, rows: list[dict], seed: str = "w1") -> DataFrame:
+    """As ``tree_vectors``, for trees of many variables: coins from a hash of the user, no plan step a variable."""
+    p = {t["node"]: t["p"] for t in rows}
+
+    def fill(x, base):
+        for t in rows:
+            i, parent = t["node"], t["parent"]
+            zero, one = conditional(p[parent], p[i], t["r"]) if parent >= 0 else (p[i], p[i])
+            x[:, i] = _coins(base, i) < (np.where(x[:, parent] == 1, one, zero) if parent >= 0 else one)
+
+    return _sampled(users, len(rows), seed, fill)
+
+
+def chain_vectors(users: DataFrame, moves: list[float], c: int, seed: str = "chain") -> DataFrame:
+    """user_id, x of a chain over c symbols: uniform first, then the same symbol or, with the step's chance, another one alike."""
+
+    def fill(x, base):
+        x[:, 0] = _coins(base, 0) * c
+        for i in range(1, len(moves)):
+            coin = _coins(base, i)
+            other = np.minimum((coin / moves[i] * (c - 1)).astype(np.int32), c - 2) + 1 if moves[i] else 0
+            x[:, i] = np.where(coin < moves[i], (x[:, i - 1] + other) % c, x[:, i - 1])
+
+    return _sampled(users, len(moves), seed, fill)

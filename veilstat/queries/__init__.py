@@ -6,7 +6,7 @@ from importlib import import_module
 
 from ..registry import QUERIES, SQL
 
-for _part in ("measures", "protocol", "structure", "collision", "baselines", "workloads", "relational", "functions", "streams", "surface"):
+for _part in ("measures", "protocol", "structure", "collision", "baselines", "workloads", "claims", "relational", "functions", "streams", "surface"):
     try:
         import_module(f"{__name__}.{_part}")
     except ModuleNotFoundError as e:

@@ -9,11 +9,13 @@ from pyspark.sql import functions as F
 from ..functions.coins import draw
 from ..functions.scalars import keep_rate, tidy as tidy_col
 from ..operators import baselines as B
+from ..operators import collision as C
 from ..operators import structure as T
 from ..operators import workloads as W
 from ..operators.small_support import rr_keep
 from ..plans import bounds, privacy
 from ..registry import query
+from ..sources.tables import line_users
 from .protocol import ALPHA, _USERS, _project_sql, coded, rr_sql
 from .sqltext import coin, tidy
 
@@ -88,11 +90,17 @@ def cost_slope(spark, d):
 @query("cost_space", "SELECT 'hash' AS method, 2::BIGINT AS live_rows UNION ALL SELECT 'histogram', count(DISTINCT l_quantity) FROM lineitem UNION ALL SELECT 'two_stage', count(DISTINCT l_quantity) FROM lineitem")
 def cost_space(spark, d):
     """Server state: two counters for the hash method, a cell per symbol for its rivals."""
-    from ..sources.tables import load
-
-    k = load(spark, d, "lineitem", "l_quantity").agg(F.countDistinct("l_quantity").alias("live_rows"))
-    fixed = spark.range(1).select(F.lit("hash").alias("method"), F.lit(2).cast("long").alias("live_rows"))
-    return fixed.unionByName(k.select(F.lit("histogram").alias("method"), "live_rows")).unionByName(k.select(F.lit("two_stage").alias("method"), "live_rows"))
+    users = line_users(spark, d, "l_quantity")
+    state = C.match(C.reports(C.assign_pairs(users, "user_id", "pub"), "user_id", ["l_quantity"], 1, None, "pub", "noise"))
+    counters = state.select(F.explode(F.array(*[F.col(c).cast("long") for c in state.columns]))).agg(F.count("*").alias("live_rows"))
+    cells = users.groupBy("l_quantity").agg(F.count("*").alias("n"))  # a counter for each symbol that a report may name
+    bits = users.groupBy("l_quantity").agg(F.sum(F.lit(1)).alias("ones"))  # a sum for each bit of the first half's noise
+    kinds = (("hash", counters), ("histogram", cells.agg(F.count("*").alias("live_rows"))), ("two_stage", bits.agg(F.count("*").alias("live_rows"))))
+    out = None
+    for name, n in kinds:
+        one = n.select(F.lit(name).alias("method"), "live_rows")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 _AUDIT = [(m, c, a) for m in ("hash", "rr", "hadamard", "unary") for c in (2, 4) for a in (0.5, 1.0, 2.0)]
@@ -105,53 +113,37 @@ def privacy_ratio_audit(spark, d):
     return spark.createDataFrame([(m, c, a, round(privacy.ratio(table[m](c, a)), 6)) for m, c, a in _AUDIT], "method string, size int, alpha double, spent double")
 
 
-@query("bounds_table")
+_GRID_TABLE = [(n, eps) for n in (10, 100, 1000) for eps in (0.1, 0.5)]
+_GRID_HASH = [(b, k) for b in (1, 2, 4) for k in (2, 100, 1000)]
+
+
+@query(
+    "bounds_table",
+    f"""WITH g(d, eps) AS (VALUES {', '.join(f'({n}::INT, {e}::DOUBLE)' for n, e in _GRID_TABLE)}), s AS (SELECT d, eps, d * ln(d / 0.1::DOUBLE) / 0.25::DOUBLE AS base FROM g)
+      SELECT d, eps, round(base / pow(eps, 5), 2) AS tree, round(base / pow(eps, 5) * ln(2 / eps) * ln(10::DOUBLE), 2) AS tree_full, round(base / (eps * eps), 2) AS chain, round(base / (eps * eps), 2) AS star,
+             d::DOUBLE * d AS lower_fixed, round(d / eps, 2) AS lower_adaptive, eps <= 0.5 AS in_theorem FROM s""",
+)
 def bounds_table(spark, d):
+    """Sample bounds of the structural methods at alpha 1/2 and delta 1/10, and the lower bounds in pairs."""
     rows = []
-    for n in (10, 100, 1000):
-        for eps in (0.1, 0.5):
-            rows.append((n, eps, bounds.tree(n, eps, 0.5, 0.1), bounds.tree(n, eps, 0.5, 0.1, True), bounds.chain(n, eps, 0.5, 0.1), bounds.star(n, eps, 0.5, 0.1), bounds.lower_pairs_noninteractive(n), bounds.lower_pairs_sequential(n, eps), bounds.in_theorem(0.5, eps)))
+    for n, eps in _GRID_TABLE:
+        told = (bounds.tree(n, eps, 0.5, 0.1), bounds.tree(n, eps, 0.5, 0.1, True), bounds.chain(n, eps, 0.5, 0.1), bounds.star(n, eps, 0.5, 0.1), bounds.lower_pairs_noninteractive(n), bounds.lower_pairs_sequential(n, eps))
+        rows.append((n, eps, *[round(x, 2) for x in told], bounds.in_theorem(0.5, eps)))
     return spark.createDataFrame(rows, "d int, eps double, tree double, tree_full double, chain double, star double, lower_fixed double, lower_adaptive double, in_theorem boolean")
 
 
-@query("bounds_hash")
+@query(
+    "bounds_hash",
+    f"""WITH g(b, k) AS (VALUES {', '.join(f'({b}::INT, {k}::INT)' for b, k in _GRID_HASH)}), s AS (SELECT b, k, pow(2::DOUBLE, 4 * b) * ln(10::DOUBLE) / (0.0625::DOUBLE * 0.01::DOUBLE) AS base FROM g)
+      SELECT b, k, round(base * greatest(1::DOUBLE / k, pow(2::DOUBLE, -b), 0.1::DOUBLE), 2) AS gini, round(base * k * k, 2) AS collision, round(k * k * ln(10::DOUBLE) / (0.01::DOUBLE * 0.25::DOUBLE), 2) AS small_support,
+             {tidy('(exp(0.5::DOUBLE) - 1) / (pow(2::DOUBLE, b) + exp(0.5::DOUBLE) - 1)')} AS keep FROM s""",
+)
 def bounds_hash(spark, d):
-    rows = [(b, k, bounds.gini(b, 1 - 1 / k, 0.1, 0.5, 0.1), bounds.collision(b, k, 0.1, 0.5, 0.1), bounds.small_support(k, 0.1, 0.5, 0.1), keep_rate(0.5, b)) for b in (1, 2, 4) for k in (2, 100, 1000)]
+    """Sample bounds of the hash method and of a private histogram at alpha 1/2, eps and delta 1/10."""
+    rows = [(b, k, round(bounds.gini(b, 1 - 1 / k, 0.1, 0.5, 0.1), 2), round(bounds.collision(b, k, 0.1, 0.5, 0.1), 2), round(bounds.small_support(k, 0.1, 0.5, 0.1), 2), round(keep_rate(0.5, b), 6)) for b, k in _GRID_HASH]
     return spark.createDataFrame(rows, "b int, k int, gini double, collision double, small_support double, keep double")
 
 
-@query("hard_clique", "SELECT 12::INT AS d, 18::INT AS observed, 6::INT AS clique, round(5 * ln(2), 6) + 0.0 AS gap")
-def hard_clique(spark, d):
-    """A fixed plan of eighteen pairs on twelve variables leaves six of them unobserved among themselves.
-
-    All equal there or all independent, the plan sees the same; the entropies differ by
-    (size - 1) ln 2.
-    """
-    pairs = [(i, j) for i in range(6) for j in range(6, 12)][:18]
-    clique = B.unobserved_clique(12, pairs)[:6]
-    return spark.createDataFrame([(12, len(pairs), len(clique), round((len(clique) - 1) * math.log(2), 6))], "d int, observed int, clique int, gap double")
-
-
-@query("hard_sequential")
-def hard_sequential(spark, d):
-    """Two families of independent variables whose entropies differ by about eps * d / 2, and pairs needed to tell them."""
-    rows = []
-    for n in (50, 100, 200):
-        for eps in (0.1, 0.2):
-            q = _solve(eps)
-            rows.append((n, eps, q, n * eps, bounds.lower_pairs_sequential(n, eps)))
-    return spark.createDataFrame(rows, "d int, eps double, q double, gap double, pairs_needed double")
-
-
-def _solve(h: float) -> float:
-    """q at most 1/2 whose binary entropy is h."""
-    lo, hi = 1e-12, 0.5
-    for _ in range(80):
-        q = (lo + hi) / 2
-        lo, hi = (q, hi) if -q * math.log(q) - (1 - q) * math.log(1 - q) < h else (lo, q)
-    return lo
-
-
 @query("tree_quality")
 def tree_quality(spark, d):
     """Error of the tree method and of the trivial estimator (no weight) on weak and strong trees."""

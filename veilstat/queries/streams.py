@@ -80,8 +80,8 @@ def _result(hits: DataFrame) -> DataFrame:
 
 @query("stream_pair_state", _RES)
 def stream_pair_state(spark, d):
-    """State is one report a pair, until its partner comes."""
-    return _result(drain(P.match_with_state(P.pair_reports(source(spark, d), "event_id", "event_type"), None), "append").where("hit >= 0"))
+    """State is one report a pair, until its partner comes or 31 days of events have passed."""
+    return _result(drain(P.match_with_state(P.pair_reports(source(spark, d, 1), "event_id", "event_type")), "append").where("hit >= 0"))
 
 
 @query("stream_pair_join", _RES)

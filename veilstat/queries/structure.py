@@ -318,11 +318,11 @@ from .measures import _BANDS, bands  # noqa: E402
 _BV = ["l_quantity_band", "l_price_band", "l_unit_band"]
 
 
-@query("non_tree_control", f"WITH RECURSIVE b AS ({_BANDS}), {mi_sql('b', _BV)}, marginals AS ({' UNION ALL '.join(f'SELECT (SELECT {h()} FROM ({counts('b', x)})) AS h' for x in _BV)}), {tree_sql()}, j AS (SELECT {h()} AS h FROM ({counts('b', *_BV)})) SELECT {tidy('(SELECT sum(h) FROM marginals) - (SELECT sum(mi) FROM tree)')} AS identity_value, {tidy('(SELECT h FROM j)')} AS joint_entropy")
+@query("non_tree_control", f"WITH RECURSIVE b AS ({_BANDS}), {mi_sql('b', _BV)}, marginals AS ({' UNION ALL '.join(f'SELECT (SELECT {h()} FROM ({counts('b', x)})) AS h' for x in _BV)}), {tree_sql()}, j AS (SELECT {h()} AS h FROM ({counts('b', *_BV)})) SELECT {tidy('(SELECT sum(h) FROM marginals) - (SELECT sum(mi) FROM tree)')} AS identity_value, {tidy('(SELECT h FROM j)')} AS joint_entropy, (SELECT sum(h) FROM marginals) - (SELECT sum(mi) FROM tree) > (SELECT h FROM j) + 1e-9 AS upper_bound_only")
 def non_tree_control(spark, d):
     """A collider: the identity's value is above the joint entropy."""
     df = bands(spark, d)
     mi = {(r["i"], r["j"]): r["mi"] for r in M.mi_matrix(df, _BV).collect()}
     total = sum(r["h"] for r in M.marginal_entropies(df, _BV).collect())
     joint = M.shannon(df, _BV).first()["h"]
-    return row(spark, identity_value=round(total - sum(mi[e] for e in T.kruskal(3, mi)), 6), joint_entropy=joint)
+    return row(spark, identity_value=round(total - sum(mi[e] for e in T.kruskal(3, mi)), 6), joint_entropy=joint, upper_bound_only=T.above_truth(mi, 3, joint, total, 1e-6))

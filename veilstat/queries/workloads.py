@@ -103,19 +103,32 @@ def error_curve(spark, d):
     return budget_rows(spark, line_users(spark, d).select("user_id", exponential(uniform("pub", "exp", F.col("user_id"))).alias("x")))
 
 
-@query("gini_by_support")
+def _support_sql() -> str:
+    from .collision import sketch_sql, symbols
+
+    arms = [f"SELECT {k}::INT AS k, {tidy(f'abs(gini - {1 - 1 / k!r}::DOUBLE)')} AS gini_error, stderr, {tidy(f'abs(collision - ln({k}::DOUBLE))')} AS collision_error, clamped FROM ({sketch_sql(f'SELECT {KEY} AS user_id, l_partkey % {k} AS x FROM lineitem', 'user_id', symbols('x'), 1, None)})" for k in (2, 10, 100, 2000)]
+    return " UNION ALL ".join(arms)
+
+
+def _bits_sql() -> str:
+    from .collision import _EXP, sketch_sql, symbols
+
+    return " UNION ALL ".join(f"SELECT {b}::INT AS b, gini, stderr FROM ({sketch_sql(_EXP, 'user_id', symbols('x'), b, 1.0)})" for b in (1, 2, 3, 4))
+
+
+@query("gini_by_support", _support_sql())
 def gini_by_support(spark, d):
     """Error of Gini and collision estimates on uniform symbols of growing alphabets."""
     users = line_users(spark, d, "l_partkey")
     out = None
     for k in (2, 10, 100, 2000):
         e = C.collision_sketch(users.withColumn("x", F.col("l_partkey") % k), "user_id", ["x"], 1, None)
-        e = e.select(F.lit(k).alias("k"), F.abs(F.col("gini") - (1 - 1 / k)).alias("gini_error"), "stderr", F.abs(F.col("collision") - F.ln(F.lit(float(k)))).alias("collision_error"), "clamped")
+        e = e.select(F.lit(k).alias("k"), tidy_col(F.abs(F.col("gini") - (1 - 1 / k))).alias("gini_error"), "stderr", tidy_col(F.abs(F.col("collision") - F.ln(F.lit(float(k))))).alias("collision_error"), "clamped")
         out = e if out is None else out.unionByName(e)
     return out
 
 
-@query("error_by_bits")
+@query("error_by_bits", _bits_sql())
 def error_by_bits(spark, d):
     """Hash widths under privacy: one bit is best."""
     users = line_users(spark, d).select("user_id", exponential(uniform("pub", "exp", F.col("user_id"))).alias("x"))
@@ -233,11 +246,3 @@ def mechanism_ablation(spark, d):
         p = project(P.hadamard_debias({r["r"]: float(r["s"]) for r in got}, float(n), 3, alpha))
         rows.append(("hadamard", alpha, sum(abs(p[k] - truth.get(k, 0) / n) for k in range(3))))
     return spark.createDataFrame(rows, "mechanism string, alpha double, l1_error double")
-
-
-@query("scaling_users", "SELECT copies::INT AS copies, copies * (SELECT count(*) FROM orders) AS users FROM (VALUES (1), (4), (16)) AS t(copies)")
-def scaling_users(spark, d):
-    """Virtual users per row: counters stay two while users grow."""
-    o = load(spark, d, "orders", "o_orderkey")
-    long = o.select(F.explode(F.array(*[F.lit(c) for c in (1, 4, 16)])).alias("copies")).select("copies", F.explode(F.sequence(F.lit(1), F.col("copies"))))
-    return long.groupBy("copies").agg(F.count("*").alias("users"))

@@ -23,10 +23,11 @@ def pair_reports(events: DataFrame, id_col: str, value: str, b: int = 1, public:
     return events.select("ts", pair.alias("pair"), (F.col(id_col) % 2).cast("int").alias("member"), hash_bits(public, b, pair, v).alias("report"))
 
 
-def match_with_state(reports: DataFrame, timeout_ms: int | None = 3_600_000) -> DataFrame:
-    """pair, hit: the state of a pair is its first report; unmatched ones are dropped with hit -1 on timeout.
+def match_with_state(reports: DataFrame, wait: int = 31 * 86_400_000, watermark: str = "1 hour") -> DataFrame:
+    """pair, hit: the state of a pair is its first report, for ``wait`` milliseconds of event time.
 
-    Without a timeout they wait for ever, as a run that ends with its input wants.
+    A pair whose second report has not come when the watermark passes the end of the wait is
+    dropped with hit -1, so the state holds no more than the unmatched users of that span.
     """
 
     def step(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
@@ -34,24 +35,25 @@ def match_with_state(reports: DataFrame, timeout_ms: int | None = 3_600_000) ->
             state.remove()
             yield pd.DataFrame({"pair": [key[0]], "hit": [-1]})
             return
-        member, first = state.get if state.exists else (None, None)
+        member, first, since = state.get if state.exists else (None, None, 0)
         out = []
         for pdf in batches:
-            for m, r in zip(pdf["member"].tolist(), pdf["report"].tolist(), strict=True):
+            for m, r, t in zip(pdf["member"].tolist(), pdf["report"].tolist(), pdf["ts"], strict=True):
                 if member is None:
-                    member, first = m, r
+                    member, first, since = m, r, int(t.timestamp() * 1000)
                 elif m != member and first is not None:
                     out.append(int(r == first))
                     first = None
         if out:
-            state.remove()
+            if state.exists:
+                state.remove()
             yield pd.DataFrame({"pair": [key[0]] * len(out), "hit": out})
         elif member is not None:
-            state.update((int(member), int(first)))
-            if timeout_ms:
-                state.setTimeoutDuration(timeout_ms)
+            state.update((int(member), int(first), int(since)))
+            state.setTimeoutTimestamp(max(since + wait, state.getCurrentWatermarkMs() + 1))
 
-    return reports.groupBy("pair").applyInPandasWithState(step, "pair long, hit int", "member int, first int", "append", GroupStateTimeout.ProcessingTimeTimeout if timeout_ms else GroupStateTimeout.NoTimeout)
+    timed = reports.withWatermark("ts", watermark)
+    return timed.groupBy("pair").applyInPandasWithState(step, "pair long, hit int", "member int, first int, since long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def match_by_join(reports: DataFrame, apart: str = "31 days") -> DataFrame:
@@ -63,7 +65,11 @@ def match_by_join(reports: DataFrame, apart: str = "31 days") -> DataFrame:
 
 
 def match_by_aggregation(reports: DataFrame) -> DataFrame:
-    """pair, n, lo, hi in update mode: a pair is matched when n is 2."""
+    """pair, n, lo, hi, for whole results (complete mode): a pair is matched when n is 2.
+
+    Its state is a row for every pair that ever came, so it suits streams that end; the forms
+    with a timeout or a watermark keep what is still unmatched.
+    """
     return reports.groupBy("pair").agg(F.count("*").alias("n"), F.min("report").alias("lo"), F.max("report").alias("hi"))
 
 
