@@ -94,3 +94,23 @@ def test_stages_decide_by_row(spark):
     assert set(got) <= set(rows) and len(got) == 5
     assert [r[0] for r in got if r[1] in (a, a2, a3)] == [1] and [r[0] for r in got if r[1] in (b, b2)] == [None]
     assert {(9, far, "en"), (8, None, "en"), (None, "", "en")} < set(got)
+
+
+def test_stages_pass_empty_tables_and_clashing_columns(spark):
+    from pyspark.sql import functions as F
+
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    empty, few = docs.limit(0), docs.orderBy("doc_id").limit(12).cache()
+    names = ("label", "key", "sid", "n", "start", "chunk", "_id", "_mark", "_told", "row", "stays", "copies", "length", "piece", "rank", "bucket")
+    wide = few
+    for c in names:
+        wide = wide.withColumn(c, F.lit("x"))
+    for name, stage in C.STAGES:
+        assert stage(spark, empty, SF).count() == 0, name
+        if name == "packing":
+            a, b = (stage(spark, x, SF).select("doc_id", "piece", "length", "ids_crc32").collect() for x in (few, wide))
+        else:
+            got = stage(spark, wide, SF)
+            assert got.columns == wide.columns, name
+            a, b = (x.select(*docs.columns).collect() for x in (stage(spark, few, SF), got))
+        assert sorted(map(str, a)) == sorted(map(str, b)), name

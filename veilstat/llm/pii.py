@@ -125,7 +125,8 @@ def find_pii(docs: DataFrame) -> DataFrame:
     """doc_id, counts of the base kinds, base_sha256, spans, scores for every row.
 
     A null text is an empty one: no spans. Rows are independent; repeated ids and null ids
-    give a row each. ``scores`` lists the spans' scores in the order of ``spans``.
+    give a row each. An empty table gives an empty result; columns other than doc_id and
+    text are ignored. ``scores`` lists the spans' scores in the order of ``spans``.
     """
     small_batches(docs.sparkSession)
     ids = docs.schema["doc_id"].dataType.simpleString()
@@ -165,7 +166,10 @@ def masked(text: str) -> str:
 
 
 def mask_pii(docs: DataFrame, text: str = "text") -> DataFrame:
-    """The same rows and columns with personal data masked in ``text``; nulls stay null."""
+    """The same rows and columns with personal data masked in ``text``; nulls stay null.
+
+    Rows are independent, repeated ones stay repeated; an empty table stays empty.
+    """
     small_batches(docs.sparkSession)
     at = docs.columns.index(text)
 

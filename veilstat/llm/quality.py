@@ -204,7 +204,11 @@ def fit_model(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model
 
 
 def score_documents(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, held_out, score, predicted for every row; null and blank texts are one empty passage."""
+    """doc_id, held_out, score, predicted for every row; null and blank texts are one empty passage.
+
+    Rows are independent: repeated and null ids give a row each. An empty table gives an
+    empty result; columns other than doc_id and text are ignored.
+    """
     small_batches(docs.sparkSession)
     ids = docs.schema["doc_id"].dataType.simpleString()
     shared = docs.sparkSession.sparkContext.broadcast(model)
@@ -222,7 +226,11 @@ def score_documents(docs: DataFrame, model: Model, threshold: float = THRESHOLD)
 
 
 def keep_quality(docs: DataFrame, model: Model, threshold: float = THRESHOLD, text: str = "text") -> DataFrame:
-    """The rows and columns of ``docs`` whose score reaches ``threshold``, scored where they stand."""
+    """The rows and columns of ``docs`` whose score reaches ``threshold``, scored where they stand.
+
+    Null and blank texts are one empty passage; repeated rows stay or go together; an empty
+    table stays empty; no other column is read.
+    """
     small_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
 

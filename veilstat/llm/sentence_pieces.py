@@ -210,7 +210,8 @@ class Segmenter(dict):
         ends = np.cumsum(sizes + 1) - 1
         starts = ends - sizes
         position, piece, length = self.edges(codes)
-        table = np.full((len(codes), self.longest + 1), -1, np.int32)
+        small = len(self.model["pieces"]) < 1 << 15  # a row a character: the narrowest type counts
+        table = np.full((len(codes), self.longest + 1), -1, np.int16 if small else np.int32)
         table[position, length] = piece
         if self.model["bpe"]:
             long = sizes > LONG_UNIT
@@ -302,6 +303,8 @@ def encode_documents(docs: DataFrame, path: str) -> DataFrame:
     Ids are those of the model's library without begin or end pieces; ``ids_crc32`` is over
     little-endian unsigned 32-bit ids; ``round_trip`` tells whether decoding gives the text
     (a literal U+2581 comes back as a space). A null text is an empty one without pieces.
+    Rows are independent: repeated and null ids give a row each. An empty table gives an
+    empty result; columns other than doc_id and text are ignored.
     """
     small_batches(docs.sparkSession)
     ids_type = docs.schema["doc_id"].dataType.simpleString()
