@@ -1,7 +1,11 @@
 """Corpus pipeline over ``documents``: quality, exact copies, near copies, personal data, packing.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept. All
-but the last return the columns of ``documents``; the last returns the packed pieces.
+but the last return the columns of ``documents``; the last returns the packed pieces. An
+empty table passes through every stage as one; columns beside doc_id, text and n_chars are
+carried along and not read. Null and blank texts are empty texts, which equal each other,
+have no near copies and become a piece with the end id alone. Null ids are ids after all
+others; rows of one id are rows of their own.
 """
 
 from __future__ import annotations
@@ -21,7 +25,7 @@ NEAR_WORDS, NEAR_PERCENT = 5, 80
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the classifier does not reject (score of at least 0.3)."""
+    """Documents that the classifier does not reject (score of at least 0.3); equal rows stay or go together."""
     return keep_quality(docs, fit_model(docs, read_table(spark, sf_dir, "labels")))
 
 
@@ -32,20 +36,18 @@ def keep_rows(docs: DataFrame, mark: Column, told: DataFrame) -> DataFrame:
     goes or that several rows share; null ids match each other. Of rows that share both, the
     least by all columns stays.
     """
-    told = stage(told.where("NOT stays OR copies > 1").select(F.col("doc_id").alias("_id"), F.col("mark").alias("_told"), "stays"), "told")
-    marked = docs.withColumn("_mark", mark)
-    same = marked.doc_id.eqNullSafe(F.col("_id")) & (F.col("_mark") == F.col("_told"))
-    out = marked.join(sized(told, None), same, "left_anti").select(*docs.columns)
+    told = stage(told.where("NOT stays OR copies > 1").select(F.col("doc_id").alias("told_id"), F.col("mark").alias("told_mark"), "stays"), "told")
+    marked = docs.select(F.struct("*").alias("row"), F.col("doc_id").alias("id"), mark.alias("mark"))  # no name of docs can clash
+    same = F.col("id").eqNullSafe(F.col("told_id")) & (F.col("mark") == F.col("told_mark"))
+    out = marked.join(sized(told, None), same, "left_anti").select("row")
     repeats = told.where("stays")
     if not repeats.isEmpty():
-        row = F.struct(*docs.columns)
-        least = marked.join(sized(repeats, None), same).groupBy("_id", "_told").agg(F.min(row).alias("row"))
-        out = out.unionByName(least.select("row.*"))
-    return out
+        out = out.unionByName(marked.join(sized(repeats, None), same).groupBy("told_id", "told_mark").agg(F.min("row").alias("row")).select("row"))
+    return out.select("row.*")
 
 
 def exact_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One row, the first of the smallest id (nulls last), of each group of equal texts."""
+    """One row, the first of the smallest id (nulls last), of each group of equal texts; of fully equal rows one."""
     groups = exact_groups(docs)
     told = groups.groupBy("doc_id", F.col("text_sha256").alias("mark")).agg(F.bool_and("kept").alias("stays"), F.count("*").alias("copies"))
     return keep_rows(docs, F.sha2(normalised(F.col("text")), 256), told)
@@ -64,13 +66,13 @@ def near_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def pii_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Personal data masked in the texts; n_chars follows the new text."""
+    """Personal data masked in the texts; n_chars follows the new text; null texts stay null, repeated rows stay."""
     masked = mask_pii(docs)
     return masked.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else masked
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The pieces of all documents with their sequence and offset."""
+    """The pieces of all documents with their sequence and offset, those of every row that repeats."""
     import public_tokenizers
 
     return pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"))
