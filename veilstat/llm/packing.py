@@ -30,7 +30,7 @@ from .unit_encoder import UnitEncoder
 #: Knapsack programs of one solution at most, and solutions: of all pieces, then of what rounding leaves.
 ROUNDS, PASSES = 400, 3
 #: Rates at which weights grow that are tried until a plan meets the lower bound.
-RATES = (0.01, 0.02, 0.1)
+RATES = (0.01, 0.05)
 #: Pieces that one ranking bucket holds on average.
 BUCKET = 20_000
 
