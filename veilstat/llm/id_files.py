@@ -158,9 +158,10 @@ class ShardReader:
 def write_ids(docs: DataFrame, path: str, folder: str, end_id: int = 1, kind: str = "byte") -> DataFrame:
     """Encode every whole text, append ``end_id``, write shards; returns the manifest (shard, path, size, n_docs, n_ids).
 
-    Shards follow ascending doc_id (null ids first; rows that repeat an id in order of a
-    hash of the text, so that one id may take several shards); a null text is an empty one
-    and has the end id alone. An empty table gives no shards; other columns are ignored.
+    Shards follow ascending doc_id (null ids first; rows that repeat an id in order of
+    text, whose first characters place the cut, so that one id may take several shards); a
+    null text is an empty one and has the end id alone. An empty table gives no shards;
+    other columns are ignored.
     """
     from .unit_encoder import UnitEncoder
 
@@ -191,7 +192,7 @@ def write_ids(docs: DataFrame, path: str, folder: str, end_id: int = 1, kind: st
             yield pa.RecordBatch.from_pylist([{"shard": task.partitionId(), "path": name, "size": store.get_file_info(at).size, "n_docs": len(writer.doc_ids), "n_ids": n_ids}])
         tidy()
 
-    ordered = docs.select("doc_id", "text", F.xxhash64("text").alias("key")).repartitionByRange("doc_id", "key").sortWithinPartitions("doc_id", "key", "text").select("doc_id", "text")
+    ordered = docs.select("doc_id", "text").repartitionByRange("doc_id", F.substring("text", 1, 64)).sortWithinPartitions("doc_id", "text")
     return stage(ordered.mapInArrow(write, "shard long, path string, size long, n_docs long, n_ids long"), "id-manifest")
 
 
