@@ -176,8 +176,10 @@ def join_asof_epoch(spark, d):
     """Each event with the last public seed in force, seeds every six hours: union and a running last value."""
     e = load(spark, d, "events", "event_id", "ts").select(F.unix_timestamp(F.col("ts").cast("timestamp_ltz")).alias("t"), F.lit(None).cast("long").alias("epoch"), F.lit(1).alias("is_event"))
     start = F.unix_timestamp(F.lit("2024-01-01 00:00:00").cast("timestamp_ntz").cast("timestamp_ltz"))
-    seeds = spark.range(4 * 40).select((start + F.col("id") * 21600).alias("t"), F.col("id").alias("epoch"), F.lit(0).alias("is_event"))
     day = F.floor(F.col("t") / 86400)
+    first, last = e.agg(F.min(day), F.max(day)).first()  # seeds for every day that has events
+    seeds = spark.range(4 * (first or 0), 4 * ((last or 0) + 1)).select((F.col("id") * 21600).alias("t"))
+    seeds = seeds.select("t", F.floor((F.col("t") - start) / 21600).alias("epoch"), F.lit(0).alias("is_event"))
     # Six hours divide a day, so that every day holds a seed at its start: days are independent.
     w = Window.partitionBy("day").orderBy("t", "is_event").rowsBetween(Window.unboundedPreceding, 0)
     u = e.unionByName(seeds).withColumn("day", day).withColumn("epoch", F.last("epoch", ignorenulls=True).over(w))
