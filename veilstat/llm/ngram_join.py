@@ -164,8 +164,10 @@ def global_order(sketches: DataFrame) -> tuple[np.ndarray, np.ndarray]:
         some = sketches.repartition(max(1, int(tasks**0.5))).mapInArrow(_add_sketches, "sketch binary")
         raw = some.coalesce(1).mapInArrow(_add_sketches, "sketch binary").first()[0]
         counts = np.frombuffer(zstandard.decompress(raw), np.uint8)
-    classes = np.ceil(np.log2(np.arange(256) + 1)).astype(np.uint8)[counts]
-    mass = np.cumsum(np.bincount(classes, weights=counts, minlength=9))
+    of_count = np.ceil(np.log2(np.arange(256) + 1)).astype(np.uint8)
+    classes = of_count[counts]
+    cells = sum(np.bincount(counts[at : at + (1 << 20)], minlength=256) for at in range(0, SKETCH, 1 << 20))  # by slices, as counting widens them
+    mass = np.cumsum(np.bincount(of_count, weights=cells * np.arange(256), minlength=9))
     cuts = []
     for f in range(1, FRAGMENTS):
         goal = mass[-1] * f / FRAGMENTS
