@@ -21,6 +21,7 @@ def rows_read(spark):
 
 READS = {
     "bounds_hash": "lineitem",
+    "bounds_table": "lineitem",
 }
 
 
@@ -45,3 +46,12 @@ def test_bounds_hash_of_columns(spark):
         assert (r["users"], r["k"]) == (len(x), len(set(x))) and r["p2"] == pytest.approx(p2, abs=1e-6)
         assert r["gini"] == pytest.approx(16 ** r["b"] * max(p2, 0.5 ** r["b"], 0.1) * math.log(10) / (0.5**4 * 0.01))
         assert r["collision"] == pytest.approx(16 ** r["b"] * len(set(x)) ** 2 * math.log(10) / (0.5**4 * 0.01))
+
+
+def test_bounds_table_of_baskets(spark):
+    got = core.queries()["bounds_table"](spark, SF).collect()
+    assert {(r["field"], r["eps"]) for r in got} == {(c, e) for c in ("l_linenumber", "l_quantity", "l_suppkey") for e in (0.1, 0.5)}
+    for r in got:
+        n = len(set(values(spark, "lineitem", r["field"])))
+        assert (r["users"], r["d"]) == (len(set(values(spark, "lineitem", "l_orderkey"))), n)
+        assert r["chain"] == r["star"] == pytest.approx(n * math.log(n / 0.1) / (0.25 * r["eps"] ** 2), abs=0.01) and r["lower_fixed"] == n * n
