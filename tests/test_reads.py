@@ -3,8 +3,13 @@
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
 from veilstat import queries as core
+from veilstat.operators import small_support as P
+from veilstat.operators import structure as T
+from veilstat.operators import workloads as W
+from veilstat.queries import structure as Q
 
 SF = "/root/testdata/sf0.001"
 
@@ -22,6 +27,7 @@ def rows_read(spark):
 READS = {
     "bounds_hash": "lineitem",
     "bounds_table": "lineitem",
+    "chain_call_count": "orders",
 }
 
 
@@ -55,3 +61,15 @@ def test_bounds_table_of_baskets(spark):
         n = len(set(values(spark, "lineitem", r["field"])))
         assert (r["users"], r["d"]) == (len(set(values(spark, "lineitem", "l_orderkey"))), n)
         assert r["chain"] == r["star"] == pytest.approx(n * math.log(n / 0.1) / (0.25 * r["eps"] ** 2), abs=0.01) and r["lower_fixed"] == n * n
+
+
+def test_calls_on_sampled_chains(spark):
+    """As many questions as on closed-form chains; the histogram of vectors answers as a pass over the rows does."""
+    got = {r["d"]: (r["triples"], r["informations"]) for r in core.queries()["chain_call_count"](spark, SF).collect()}
+    for n in (4, 6, 8, 10, 12):
+        _, asked = T.chain_order(Q.ChainForm((0.5, *[0.02 + 0.08 * i / n for i in range(1, n)])), list(range(n)))
+        assert got[n] == (asked, 3 * asked)
+    users = W.chain_vectors(spark.read.parquet(f"{SF}/orders.parquet").select(F.col("o_orderkey").alias("user_id")), [0.0, 0.1, 0.2, 0.3], 3)
+    every, once = P.ExactSource(users, 3), P.CountedSource(users, 3)
+    assert once.cmi([(0, 1, 2), (1, 2, 3)]) == every.cmi([(0, 1, 2), (1, 2, 3)]) and once.mi([(0, 3)]) == every.mi([(0, 3)]) and once.marginals([2]) == every.marginals([2])
+    assert P.CountedSource(users.limit(0), 3).mi([(0, 3)]) == {(0, 3): 0.0}
