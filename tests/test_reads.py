@@ -1,5 +1,6 @@
 """Queries that once made their data up, or read nothing, read every row of a given table in Spark's tasks."""
 
+import json
 import math
 
 import pytest
@@ -28,6 +29,7 @@ READS = {
     "bounds_hash": "lineitem",
     "bounds_table": "lineitem",
     "chain_call_count": "orders",
+    "distinct_requests": "events",
 }
 
 
@@ -73,3 +75,10 @@ def test_calls_on_sampled_chains(spark):
     every, once = P.ExactSource(users, 3), P.CountedSource(users, 3)
     assert once.cmi([(0, 1, 2), (1, 2, 3)]) == every.cmi([(0, 1, 2), (1, 2, 3)]) and once.mi([(0, 3)]) == every.mi([(0, 3)]) and once.marginals([2]) == every.marginals([2])
     assert P.CountedSource(users.limit(0), 3).mi([(0, 3)]) == {(0, 3): 0.0}
+
+
+def test_requests_of_all_events(spark):
+    events = spark.read.parquet(f"{SF}/events.parquet").select("ts", "props").collect()
+    want = {(r["ts"].hour, 24 + json.loads(r["props"])["k"]) for r in events}
+    got = [tuple(r) for r in core.queries()["distinct_requests"](spark, SF).collect()]
+    assert len(got) == len(want) < len(events) and set(got) == want
