@@ -30,6 +30,7 @@ READS = {
     "bounds_table": "lineitem",
     "chain_call_count": "orders",
     "distinct_requests": "events",
+    "fn_hadamard_sign": "lineitem",
 }
 
 
@@ -82,3 +83,10 @@ def test_requests_of_all_events(spark):
     want = {(r["ts"].hour, 24 + json.loads(r["props"])["k"]) for r in events}
     got = [tuple(r) for r in core.queries()["distinct_requests"](spark, SF).collect()]
     assert len(got) == len(want) < len(events) and set(got) == want
+
+
+def test_signs_of_all_lines(spark):
+    got = core.queries()["fn_hadamard_sign"](spark, SF).collect()
+    x = values(spark, "lineitem", "l_linenumber")
+    assert sum(r["n"] for r in got) == len(x) and {r["x"] for r in got} == set(x) and {r["r"] for r in got} == set(range(8))
+    assert all(r["s"] == (-1) ** bin(r["r"] & r["x"]).count("1") for r in got)
