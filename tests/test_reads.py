@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from veilstat import queries as core
+from veilstat.functions.scalars import keep_rate
 from veilstat.operators import small_support as P
 from veilstat.operators import structure as T
 from veilstat.operators import workloads as W
@@ -31,6 +32,7 @@ READS = {
     "chain_call_count": "orders",
     "distinct_requests": "events",
     "fn_hadamard_sign": "lineitem",
+    "hash_bias_table": "lineitem",
 }
 
 
@@ -90,3 +92,13 @@ def test_signs_of_all_lines(spark):
     x = values(spark, "lineitem", "l_linenumber")
     assert sum(r["n"] for r in got) == len(x) and {r["x"] for r in got} == set(x) and {r["r"] for r in got} == set(range(8))
     assert all(r["s"] == (-1) ** bin(r["r"] & r["x"]).count("1") for r in got)
+
+
+def test_hit_rates_of_columns(spark):
+    got = core.queries()["hash_bias_table"](spark, SF).collect()
+    assert len(got) == 27
+    for r in got:
+        x = values(spark, "lineitem", r["field"])
+        p2, size, lam = sum((x.count(v) / len(x)) ** 2 for v in set(x)), 2 ** r["b"], keep_rate(r["alpha"], r["b"])
+        assert r["lambda"] == pytest.approx(lam, abs=1e-6) and r["p2"] == pytest.approx(p2, abs=1e-6)
+        assert r["hit_rate"] == pytest.approx(lam**2 * (p2 + (1 - p2) / size) + (1 - lam**2) / size, abs=1e-6)
