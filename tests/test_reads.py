@@ -33,6 +33,7 @@ READS = {
     "distinct_requests": "events",
     "fn_hadamard_sign": "lineitem",
     "hash_bias_table": "lineitem",
+    "chain_variants": "orders",
 }
 
 
@@ -102,3 +103,10 @@ def test_hit_rates_of_columns(spark):
         p2, size, lam = sum((x.count(v) / len(x)) ** 2 for v in set(x)), 2 ** r["b"], keep_rate(r["alpha"], r["b"])
         assert r["lambda"] == pytest.approx(lam, abs=1e-6) and r["p2"] == pytest.approx(p2, abs=1e-6)
         assert r["hit_rate"] == pytest.approx(lam**2 * (p2 + (1 - p2) / size) + (1 - lam**2) / size, abs=1e-6)
+
+
+def test_variants_follow_the_rows(spark, tmp_path):
+    """Without rows nothing is recovered."""
+    assert {r["variant"]: r["recovered"] for r in core.queries()["chain_variants"](spark, SF).collect()} == {"argmin": True, "threshold": True, "lookahead 2": True, "as printed": False}
+    spark.read.parquet(f"{SF}/orders.parquet").limit(0).write.parquet(str(tmp_path / "orders.parquet"))
+    assert not any(r["recovered"] for r in core.queries()["chain_variants"](spark, str(tmp_path)).collect())
