@@ -34,6 +34,7 @@ READS = {
     "fn_hadamard_sign": "lineitem",
     "hash_bias_table": "lineitem",
     "chain_variants": "orders",
+    "fn_lambda": "lineitem",
 }
 
 
@@ -110,3 +111,10 @@ def test_variants_follow_the_rows(spark, tmp_path):
     assert {r["variant"]: r["recovered"] for r in core.queries()["chain_variants"](spark, SF).collect()} == {"argmin": True, "threshold": True, "lookahead 2": True, "as printed": False}
     spark.read.parquet(f"{SF}/orders.parquet").limit(0).write.parquet(str(tmp_path / "orders.parquet"))
     assert not any(r["recovered"] for r in core.queries()["chain_variants"](spark, str(tmp_path)).collect())
+
+
+def test_keep_rates_of_all_lines(spark):
+    got = core.queries()["fn_lambda"](spark, SF).collect()
+    assert sum(r["n"] for r in got) == len(values(spark, "lineitem", "l_quantity"))
+    assert {r["alpha"] for r in got} == {q / 10 for q in values(spark, "lineitem", "l_quantity")} and {r["b"] for r in got} == set(values(spark, "lineitem", "l_linenumber"))
+    assert all(r["lambda"] == pytest.approx(keep_rate(r["alpha"], r["b"]), abs=1e-6) for r in got)
