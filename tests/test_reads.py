@@ -35,6 +35,7 @@ READS = {
     "hash_bias_table": "lineitem",
     "chain_variants": "orders",
     "fn_lambda": "lineitem",
+    "hard_sequential": "lineitem",
 }
 
 
@@ -118,3 +119,14 @@ def test_keep_rates_of_all_lines(spark):
     assert sum(r["n"] for r in got) == len(values(spark, "lineitem", "l_quantity"))
     assert {r["alpha"] for r in got} == {q / 10 for q in values(spark, "lineitem", "l_quantity")} and {r["b"] for r in got} == set(values(spark, "lineitem", "l_linenumber"))
     assert all(r["lambda"] == pytest.approx(keep_rate(r["alpha"], r["b"]), abs=1e-6) for r in got)
+
+
+def test_sequential_instances_on_lines(spark, tmp_path):
+    """As many whole repetitions as there are lines for; none on a table that is too short."""
+    lines = spark.read.parquet(f"{SF}/lineitem.parquet")
+    got = core.queries()["hard_sequential"](spark, SF).collect()
+    need = 2 * sum(r["pairs"] for r in got)
+    assert len(got) == 18 and {r["reps"] for r in got} == {lines.count() // need}
+    lines.limit(need - 1).write.parquet(str(tmp_path / "lineitem.parquet"))
+    few = core.queries()["hard_sequential"](spark, str(tmp_path)).collect()
+    assert len(few) == 18 and all(r["reps"] == 0 and r["told_apart"] is None for r in few)
