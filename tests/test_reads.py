@@ -36,6 +36,7 @@ READS = {
     "chain_variants": "orders",
     "fn_lambda": "lineitem",
     "hard_sequential": "lineitem",
+    "cost_pairs_curve": "orders",
 }
 
 
@@ -130,3 +131,15 @@ def test_sequential_instances_on_lines(spark, tmp_path):
     lines.limit(need - 1).write.parquet(str(tmp_path / "lineitem.parquet"))
     few = core.queries()["hard_sequential"](spark, str(tmp_path)).collect()
     assert len(few) == 18 and all(r["reps"] == 0 and r["told_apart"] is None for r in few)
+
+
+def test_pair_counts_of_sampled_trees(spark):
+    """Products of drawn bits, summed over tasks, are the counts of the same vectors."""
+    users = spark.read.parquet(f"{SF}/orders.parquet").select(F.col("o_orderkey").alias("user_id"))
+    tree = W.random_tree(70, "42")
+    n, ones = W.pair_ones(users.repartition(3), tree)
+    pairs = [(i, j) for i in range(70) for j in range(i, 70)]
+    assert n == users.count() and (P.count_cells(W.sampled_vectors(users, tree), pairs, 2)[:, 3] == [ones[q] for q in pairs]).all()
+    src, every = W.OnesSource(n, ones), P.ExactSource(W.sampled_vectors(users, tree), 2)
+    some = [q for q in pairs if q[0] < q[1]]
+    assert src.mi(some) == pytest.approx(every.mi(some), abs=1e-9) and src.marginals([0, 69]) == pytest.approx(every.marginals([0, 69]))

@@ -59,17 +59,33 @@ def test_pair_counts_are_run(spark):
 
     from veilstat.operators import structure as T
     from veilstat.operators import workloads as W
+    from veilstat.operators.small_support import ExactSource
     from veilstat.queries import baselines as B
 
+    class Asked:
+        def __init__(self, n):
+            src = ExactSource(W.sampled_vectors(users, W.random_tree(n, "42")), 2)
+            self.known = src.mi([(i, j) for i in range(n) for j in range(i + 1, n)])
+            self.h = src.marginals(list(range(n)))
+
+        def mi(self, pairs):
+            self.pairs += len(pairs)
+            return {q: self.known[q] for q in pairs}
+
+        def marginals(self, variables):
+            return {i: self.h[i] for i in variables}
+
     def count(n, r):
-        src = W.ClosedForm(W.random_tree(n, "42"))
-        T.tree_entropy(src, n, 2, 0.5, 0.1, seed=f"rep{r}")
-        return src.pairs  # questions that reached the source
+        src[n].pairs = 0
+        T.tree_entropy(src[n], n, 2, 0.5, 0.1, seed=f"rep{r}")
+        return src[n].pairs  # questions that reached the source
 
     sizes, reps = (12, 30, 60), 3
+    users = table(spark, "orders").selectExpr("o_orderkey AS user_id")
+    src = {n: Asked(n) for n in sizes}
     want = {(n, r): count(n, r) for n in sizes for r in range(reps)}
-    assert {(x["d"], x["rep"]): x["pairs"] for x in B.pair_counts(spark, sizes, reps).collect()} == want
-    got = B.slopes(spark, sizes, reps).first()
+    assert {(x["d"], x["rep"]): x["pairs"] for x in B.pair_counts(spark, B.order_sources(spark, SF, sizes), reps).collect()} == want
+    got = B.slopes(spark, SF, sizes, reps).first()
     means = [sum(want[n, r] for r in range(reps)) / reps for n in sizes]
     assert abs(got["tree_slope"] - np.polyfit(np.log(sizes), np.log(means), 1)[0]) < 2e-6
     assert abs(got["all_slope"] - np.polyfit(np.log(sizes), np.log([n * (n - 1) / 2 for n in sizes]), 1)[0]) < 2e-6
