@@ -37,6 +37,7 @@ READS = {
     "fn_lambda": "lineitem",
     "hard_sequential": "lineitem",
     "cost_pairs_curve": "orders",
+    "cost_slope": "orders",
 }
 
 
